@@ -7,10 +7,11 @@ exponentially distributed hashes h_i over the set, truncated to 0..limit. Regist
 1. Documents with equal sets become one representative (the smallest id).
 2. Each band of registers is a bucket. Within a bucket every member is compared with the bucket's first member.
 3. A pair's Jaccard similarity is estimated jointly from all registers, by maximum likelihood given both set sizes; pairs far
-   below the threshold (six standard errors) go, the rest is verified on the full sets of shingles.
-4. Members of a bucket that are not in the component of its first member are then compared with every other member of
-   another component. So every pair of a bucket is either compared or already connected: nothing is capped, and a bucket
-   of many near copies costs one comparison for each.
+   below the threshold (4.5 standard errors) go, the rest is verified on the full sets of shingles.
+4. In a few more rounds, members outside of a bucket's largest component are compared with one drawn from it; at last with
+   every member of another component in the bucket, by a join that keeps a pair only if enough registers agree. So
+   every pair of a bucket is either compared or already connected: nothing is capped, and a bucket of many near
+   copies costs a few comparisons for each.
 5. Components are found by star contractions.
 
 Defined results: a document without words has an empty set and is linked with nothing. doc_id is the key: rows that repeat one
@@ -53,7 +54,7 @@ class Sketch:
     @property
     def least_estimate(self) -> float:
         t = self.percent / 100
-        return t - 6 * (t * (1 - t) / self.size) ** 0.5
+        return t - 4.5 * (t * (1 - t) / self.size) ** 0.5
 
     def hashing(self) -> tuple[np.ndarray, np.ndarray]:
         drawn = mix(np.arange(1, 2 * self.size + 1, dtype=np.uint64) + np.uint64(self.seed << 32))
@@ -141,7 +142,7 @@ def likely(pairs: DataFrame, table: DataFrame, sketch: Sketch) -> DataFrame:
     return both.select("a", "b", "n_a", "n_b", "registers_a", "registers_b").mapInArrow(judge, "a long, b long")
 
 
-def verified(pairs: DataFrame, documents: DataFrame, sketch: Sketch) -> DataFrame:
+def verified(pairs: DataFrame, sets: DataFrame, sketch: Sketch) -> DataFrame:
     """Of pairs (a, b), those whose full sets reach the similarity."""
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -153,13 +154,11 @@ def verified(pairs: DataFrame, documents: DataFrame, sketch: Sketch) -> DataFram
                 keep.append(100 * both >= sketch.percent * (len(x) + len(y) - both))
             yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
 
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    sets = full_sets(documents, ids, sketch.width)
     side = lambda c: sets.select(F.col("id").alias(c), F.col("elements").alias(f"elements_{c}"))
     return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "elements_a", "elements_b").mapInArrow(judge, "a long, b long")
 
 
-def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch()) -> DataFrame:
+def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int = 2) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable over links) and kept, for every row."""
     table = materialise(sketches(documents, sketch), "sketches")
     groups = table.where("n > 0 AND doc_id IS NOT NULL").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"))
@@ -167,26 +166,42 @@ def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch()) -> DataFram
     hashes = F.transform(F.sequence(F.lit(0), F.lit(sketch.bands - 1)), lambda i: F.xxhash64(i, F.col("registers").substr(i * (2 * sketch.rows) + 1, F.lit(2 * sketch.rows))))
     buckets = reps.select("rep", F.explode(hashes).alias("bucket"))
     first = buckets.groupBy("bucket").agg(F.min("rep").alias("lead"), F.count("*").alias("size")).where("size > 1").drop("size")
-    members = materialise(buckets.join(first, "bucket").where("rep <> lead").select("bucket", "lead", "rep"), "members")
-
-    def links_of(pairs: DataFrame) -> DataFrame:
-        hopeful = materialise(likely(pairs, reps, sketch), "likely")
-        found = materialise(verified(hopeful, documents, sketch), "links")
+    members = materialise(buckets.join(first, "bucket").select("bucket", "lead", "rep"), "members")
+    ids = members.select(F.col("rep").alias("id")).distinct()
+    sets = materialise(full_sets(documents, ids, sketch.width), "sets")
+    known = materialise(reps.join(ids.withColumnRenamed("id", "rep"), "rep", "left_semi"), "known")
+    links: list[DataFrame] = []
+
+    def compare(pairs: DataFrame) -> DataFrame:
+        """Verifies pairs, and gives the component of every member after that."""
+        hopeful = materialise(likely(pairs.distinct(), known, sketch), "likely")
+        links.append(materialise(verified(hopeful, sets, sketch), "links"))
         unmaterialise(hopeful)
-        return found
-
-    links = links_of(members.select(F.col("lead").alias("a"), F.col("rep").alias("b")).distinct())
-    label = materialise(components(links), "labels")
-    of = lambda c: label.select(F.col("id").alias(c), F.col("component").alias(f"of_{c}"))
-    placed = members.join(of("rep"), "rep", "left").join(of("lead"), "lead", "left").select("bucket", "rep", F.coalesce("of_rep", "rep").alias("of_rep"), F.coalesce("of_lead", "lead").alias("of_lead"))
-    apart = placed.where("of_rep <> of_lead").select("bucket", F.col("rep").alias("x"), F.col("of_rep").alias("of_x"))
-    rest = placed.select("bucket", F.col("rep").alias("y"), F.col("of_rep").alias("of_y"))
-    pairs = apart.join(rest, "bucket").where("of_x <> of_y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-    more = links_of(pairs)
-    if not more.isEmpty():
-        old, label = label, materialise(components(links.unionByName(more)), "labels")
+        joined = links[0]
+        for more in links[1:]:
+            joined = joined.unionByName(more)
+        return materialise(components(joined), "labels")
+
+    def placed() -> DataFrame:
+        return members.drop("lead").join(label.withColumnRenamed("id", "rep"), "rep", "left").select("bucket", "rep", F.coalesce("component", "rep").alias("of"))
+
+    ordered = (F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+    label = compare(members.where("rep <> lead").select(F.col("lead").alias("a"), F.col("rep").alias("b")))
+    for turn in range(rounds):
+        now = placed()
+        sizes = now.groupBy("bucket", "of").agg(F.count("*").alias("n"), F.min_by("rep", F.xxhash64("rep", F.lit(turn))).alias("y"))
+        main = sizes.groupBy("bucket").agg(F.max(F.struct("n", "of", "y")).alias("m"), F.count("*").alias("parts")).where("parts > 1").select("bucket", F.col("m.of").alias("main"), F.col("m.y").alias("y"))
+        old, label = label, compare(now.join(main, "bucket").where("of <> main").select(F.col("rep").alias("x"), "y").select(*ordered))
         unmaterialise(old)
-    for done in (links, more, members):
+    now = placed()
+    parts = now.groupBy("bucket").agg(F.min("of").alias("low"), F.max("of").alias("high")).where("low < high").select("bucket", F.col("low").alias("part"))
+    registers = known.select("rep", F.transform(F.sequence(F.lit(0), F.lit(sketch.size - 1)), lambda i: F.conv(F.hex(F.col("registers").substr(i * 2 + 1, F.lit(2))), 16, 10).cast("int")).alias("values"))
+    mixed = now.join(parts, "bucket").join(registers, "rep")
+    one, other = mixed.select("bucket", F.col("rep").alias("x"), F.col("of").alias("of_x"), F.col("values").alias("values_x")), mixed.select("bucket", F.col("rep").alias("y"), F.col("of").alias("of_y"), F.col("values").alias("values_y"))
+    agreeing = F.aggregate(F.zip_with("values_x", "values_y", lambda p, q: F.when(p == q, 1).otherwise(0)), F.lit(0), lambda total, v: total + v)
+    near = one.join(other, (one["bucket"] == other["bucket"]) & (F.col("x") < F.col("y")) & (F.col("of_x") != F.col("of_y")) & (agreeing >= int(sketch.least_estimate * sketch.size)))
+    old, label = label, compare(near.select(*ordered))
+    for done in (old, members, sets, known, *links):
         unmaterialise(done)
     linked = table.drop("registers").join(groups, ["f1", "f2", "n"], "left").join(label.select(F.col("id").alias("rep"), "component"), "rep", "left")
     component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("component", "rep"))
