@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from duelspark.llm import langid, pii, setsketch
+from duelspark.llm import bpe, langid, mixing, pii, setsketch
 from duelspark.llm.common import materialise, table
 
 
@@ -25,10 +25,24 @@ def pseudonymise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
     return pii.pseudonymise(docs)
 
 
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents are taken as often as the rates say that bring the domains' tokens to their target shares."""
+    return mixing.resampled(docs, table(spark, sf_dir, "labels"))
+
+
+def encode_bytes(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids of every document, checked by decoding them: counts and digests."""
+    import public_tokenizers
+
+    return bpe.round_trip(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+
+
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
     ("language", identify_language),
     ("near_duplicates", drop_near_duplicates),
     ("pii", pseudonymise),
+    ("mixing", mix_sources),
+    ("byte_bpe", encode_bytes),
 ]
 
 #: The stages train a classifier, sketch sets and permute numbers by keyed hashes, which SQL cannot express; tests hold them against plain versions.
