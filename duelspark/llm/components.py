@@ -26,13 +26,14 @@ def _round(edges: DataFrame) -> DataFrame:
 def components(links: DataFrame, rounds: int = 60) -> DataFrame:
     """links (a, b) -> (id, component): the smallest id that each linked id reaches. Loops and repeated links are no matter; nulls are left out."""
     edges = materialise(links.where("a <> b").select(F.greatest("a", "b").cast("long").alias("a"), F.least("a", "b").cast("long").alias("b")).distinct(), "edges")
+    state = None
     for _ in range(rounds):
         after = materialise(_round(edges), "edges")
-        # every node but the roots has one edge, to a root, when nothing changes any more
-        state = [df.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first() for df in (edges, after)]
         unmaterialise(edges)
-        edges = after
-        if state[0] == state[1]:
+        edges, before = after, state
+        # every node but the roots has one edge, to a root, when nothing changes any more
+        state = after.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
+        if state == before or not state[0]:
             break
     else:
         raise RuntimeError(f"components did not settle in {rounds} rounds")

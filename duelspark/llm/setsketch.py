@@ -9,8 +9,8 @@ exponentially distributed hashes h_i over the set, truncated to 0..limit. Regist
 3. A pair's Jaccard similarity is estimated jointly from all registers, by maximum likelihood given both set sizes; pairs far
    below the threshold (4.5 standard errors) go, the rest is verified on the full sets of shingles.
 4. In a few more rounds, members outside of a bucket's largest component are compared with one drawn from it; at last with
-   every member of another component in the bucket, by a join that keeps a pair only if enough registers agree. So
-   every pair of a bucket is either compared or already connected: nothing is capped, and a bucket of many near
+   every member of another component in the bucket, by a join that keeps a pair only if enough of a finer sketch, one bit
+   of each of `bits` minima, agrees (again 4.5 standard errors). So every pair of a bucket is either compared or already connected: nothing is capped, and a bucket of many near
    copies costs a few comparisons for each.
 5. Components are found by star contractions.
 
@@ -46,6 +46,7 @@ class Sketch:
     seed: int = 11
     width: int = WIDTH
     percent: int = 75
+    bits: int = 3072
 
     @property
     def size(self) -> int:
@@ -56,6 +57,25 @@ class Sketch:
         t = self.percent / 100
         return t - 4.5 * (t * (1 - t) / self.size) ** 0.5
 
+    @property
+    def least_agreeing(self) -> int:
+        """Bits that agree for pairs at the threshold, less 4.5 standard errors; a bit agrees with probability (1 + J) / 2."""
+        p = (1 + self.percent / 100) / 2
+        return int(self.bits * (p - 4.5 * (p * (1 - p) / self.bits) ** 0.5))
+
+    def fine(self, elements: np.ndarray) -> np.ndarray:
+        """One bit of each minimum, packed into 64-bit integers."""
+        drawn = mix(np.arange(1, 2 * self.bits + 1, dtype=np.uint64) + np.uint64(self.seed << 40)).astype(np.uint32)
+        short, parity = (elements >> np.uint64(32)).astype(np.uint32), np.empty(self.bits, np.uint8)
+        for k in range(0, self.bits, 64):
+            factor, shift = drawn[k : k + 64] | np.uint32(1), drawn[self.bits + k : self.bits + k + 64]
+            least = np.full(64, np.iinfo(np.uint32).max, np.uint32)
+            for j in range(0, len(short), 4096):
+                np.minimum(least, (short[j : j + 4096, None] * factor + shift).min(axis=0), out=least)
+            least = (least ^ (least >> np.uint32(15))) * np.uint32(0x85EBCA6B)
+            parity[k : k + 64] = (least >> np.uint32(31)).astype(np.uint8)
+        return np.packbits(parity).view(np.int64)
+
     def hashing(self) -> tuple[np.ndarray, np.ndarray]:
         drawn = mix(np.arange(1, 2 * self.size + 1, dtype=np.uint64) + np.uint64(self.seed << 32))
         return drawn[: self.size] | np.uint64(1), drawn[self.size :]
@@ -113,15 +133,16 @@ def sketches(documents: DataFrame, sketch: Sketch = Sketch()) -> DataFrame:
     return documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(build, "doc_id long, n long, f1 long, f2 long, registers binary")
 
 
-def full_sets(documents: DataFrame, ids: DataFrame, width: int) -> DataFrame:
-    """id, elements (sorted 64-bit hashes as bytes) of the documents whose ids are given."""
+def full_sets(documents: DataFrame, ids: DataFrame, sketch: Sketch) -> DataFrame:
+    """id, elements (sorted 64-bit hashes as bytes), fine (the finer sketch) of the documents whose ids are given."""
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([s.tobytes() for s in shingle_sets(batch.column(1).to_pylist(), width)], pa.binary())], names=["id", "elements"])
+            sets = [*shingle_sets(batch.column(1).to_pylist(), sketch.width)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([sketch.fine(s) for s in sets], pa.list_(pa.int64()))], names=["id", "elements", "fine"])
 
     wanted = documents.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string")).join(ids, "id", "left_semi")
-    return wanted.dropDuplicates(["id"]).mapInArrow(build, "id long, elements binary")
+    return wanted.dropDuplicates(["id"]).mapInArrow(build, "id long, elements binary, fine array<bigint>")
 
 
 def likely(pairs: DataFrame, table: DataFrame, sketch: Sketch) -> DataFrame:
@@ -158,7 +179,7 @@ def verified(pairs: DataFrame, sets: DataFrame, sketch: Sketch) -> DataFrame:
     return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "elements_a", "elements_b").mapInArrow(judge, "a long, b long")
 
 
-def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int = 2) -> DataFrame:
+def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int = 1) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable over links) and kept, for every row."""
     table = materialise(sketches(documents, sketch), "sketches")
     groups = table.where("n > 0 AND doc_id IS NOT NULL").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"))
@@ -168,19 +189,21 @@ def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int
     first = buckets.groupBy("bucket").agg(F.min("rep").alias("lead"), F.count("*").alias("size")).where("size > 1").drop("size")
     members = materialise(buckets.join(first, "bucket").select("bucket", "lead", "rep"), "members")
     ids = members.select(F.col("rep").alias("id")).distinct()
-    sets = materialise(full_sets(documents, ids, sketch.width), "sets")
+    sets = materialise(full_sets(documents, ids, sketch), "sets")
     known = materialise(reps.join(ids.withColumnRenamed("id", "rep"), "rep", "left_semi"), "known")
-    links: list[DataFrame] = []
+    label = None
 
-    def compare(pairs: DataFrame) -> DataFrame:
+    def compare(pairs: DataFrame, estimate: bool = True) -> DataFrame:
         """Verifies pairs, and gives the component of every member after that."""
-        hopeful = materialise(likely(pairs.distinct(), known, sketch), "likely")
-        links.append(materialise(verified(hopeful, sets, sketch), "links"))
+        hopeful = materialise(likely(pairs.distinct(), known, sketch) if estimate else pairs.distinct(), "likely")
+        links = materialise(verified(hopeful, sets, sketch), "links")
         unmaterialise(hopeful)
-        joined = links[0]
-        for more in links[1:]:
-            joined = joined.unionByName(more)
-        return materialise(components(joined), "labels")
+        joined = links if label is None else links.unionByName(label.select(F.col("id").alias("a"), F.col("component").alias("b")))
+        found = materialise(components(joined), "labels")
+        unmaterialise(links)
+        if label is not None:
+            unmaterialise(label)
+        return found
 
     def placed() -> DataFrame:
         return members.drop("lead").join(label.withColumnRenamed("id", "rep"), "rep", "left").select("bucket", "rep", F.coalesce("component", "rep").alias("of"))
@@ -191,17 +214,15 @@ def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int
         now = placed()
         sizes = now.groupBy("bucket", "of").agg(F.count("*").alias("n"), F.min_by("rep", F.xxhash64("rep", F.lit(turn))).alias("y"))
         main = sizes.groupBy("bucket").agg(F.max(F.struct("n", "of", "y")).alias("m"), F.count("*").alias("parts")).where("parts > 1").select("bucket", F.col("m.of").alias("main"), F.col("m.y").alias("y"))
-        old, label = label, compare(now.join(main, "bucket").where("of <> main").select(F.col("rep").alias("x"), "y").select(*ordered))
-        unmaterialise(old)
+        label = compare(now.join(main, "bucket").where("of <> main").select(F.col("rep").alias("x"), "y").select(*ordered))
     now = placed()
     parts = now.groupBy("bucket").agg(F.min("of").alias("low"), F.max("of").alias("high")).where("low < high").select("bucket", F.col("low").alias("part"))
-    registers = known.select("rep", F.transform(F.sequence(F.lit(0), F.lit(sketch.size - 1)), lambda i: F.conv(F.hex(F.col("registers").substr(i * 2 + 1, F.lit(2))), 16, 10).cast("int")).alias("values"))
-    mixed = now.join(parts, "bucket").join(registers, "rep")
-    one, other = mixed.select("bucket", F.col("rep").alias("x"), F.col("of").alias("of_x"), F.col("values").alias("values_x")), mixed.select("bucket", F.col("rep").alias("y"), F.col("of").alias("of_y"), F.col("values").alias("values_y"))
-    agreeing = F.aggregate(F.zip_with("values_x", "values_y", lambda p, q: F.when(p == q, 1).otherwise(0)), F.lit(0), lambda total, v: total + v)
-    near = one.join(other, (one["bucket"] == other["bucket"]) & (F.col("x") < F.col("y")) & (F.col("of_x") != F.col("of_y")) & (agreeing >= int(sketch.least_estimate * sketch.size)))
-    old, label = label, compare(near.select(*ordered))
-    for done in (old, members, sets, known, *links):
+    mixed = now.join(parts, "bucket").join(sets.select(F.col("id").alias("rep"), "fine"), "rep")
+    one, other = mixed.select("bucket", F.col("rep").alias("x"), F.col("of").alias("of_x"), F.col("fine").alias("fine_x")), mixed.select("bucket", F.col("rep").alias("y"), F.col("of").alias("of_y"), F.col("fine").alias("fine_y"))
+    agreeing = sketch.bits - F.aggregate(F.zip_with("fine_x", "fine_y", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda total, v: total + v)
+    near = one.join(other, (one["bucket"] == other["bucket"]) & (F.col("x") < F.col("y")) & (F.col("of_x") != F.col("of_y")) & (agreeing >= sketch.least_agreeing))
+    label = compare(near.select(*ordered), estimate=False)
+    for done in (members, sets, known):
         unmaterialise(done)
     linked = table.drop("registers").join(groups, ["f1", "f2", "n"], "left").join(label.select(F.col("id").alias("rep"), "component"), "rep", "left")
     component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("component", "rep"))
