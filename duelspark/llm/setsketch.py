@@ -217,10 +217,12 @@ def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int
         label = compare(now.join(main, "bucket").where("of <> main").select(F.col("rep").alias("x"), "y").select(*ordered))
     now = placed()
     parts = now.groupBy("bucket").agg(F.min("of").alias("low"), F.max("of").alias("high")).where("low < high").select("bucket", F.col("low").alias("part"))
-    mixed = now.join(parts, "bucket").join(sets.select(F.col("id").alias("rep"), "fine"), "rep")
-    one, other = mixed.select("bucket", F.col("rep").alias("x"), F.col("of").alias("of_x"), F.col("fine").alias("fine_x")), mixed.select("bucket", F.col("rep").alias("y"), F.col("of").alias("of_y"), F.col("fine").alias("fine_y"))
+    own = sets.select(F.col("id").alias("rep"), "fine").join(known.select("rep", hashes.alias("all")), "rep")
+    mixed = now.join(parts, "bucket").join(own, "rep")
+    side = lambda c: mixed.select("bucket", *(F.col(name).alias(f"{name}_{c}") for name in ("rep", "of", "fine", "all")))
+    one, other = side("x").withColumnRenamed("rep_x", "x"), side("y").withColumnRenamed("rep_y", "y")
     agreeing = sketch.bits - F.aggregate(F.zip_with("fine_x", "fine_y", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda total, v: total + v)
-    near = one.join(other, (one["bucket"] == other["bucket"]) & (F.col("x") < F.col("y")) & (F.col("of_x") != F.col("of_y")) & (agreeing >= sketch.least_agreeing))
+    near = one.join(other, (one["bucket"] == other["bucket"]) & (F.col("x") < F.col("y")) & (F.col("of_x") != F.col("of_y")) & (agreeing >= sketch.least_agreeing) & (F.get(F.array_intersect("all_x", "all_y"), F.lit(0)) == one["bucket"]))  # a pair comes from the first bucket it shares
     label = compare(near.select(*ordered), estimate=False)
     for done in (members, sets, known):
         unmaterialise(done)
