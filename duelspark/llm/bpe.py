@@ -127,39 +127,45 @@ def let(value: Column, body) -> Column:
 
 def encoder(vocabulary: Vocabulary):
     """A function from a column of words to a column of arrays of ids."""
-    offset_list, entry_list = vocabulary.packed()
-    offsets, entries = literal(offset_list, "int"), literal(entry_list, "int")
-    of_byte = literal([vocabulary.ranks[bytes([b])] for b in range(256)], "int")
-
-    def rank(left: Column, right: Column) -> Column:
-        there = F.get(entries, F.get(offsets, left) + right)
-        return F.when(F.shiftrightunsigned(there, 16) == left, there.bitwiseAND(F.lit(65_535))).otherwise(NEVER)
-
-    def step(state: Column, _: Column) -> Column:
-        ids, ranks = state["ids"], state["ranks"]
-
-        def joined(at: Column) -> Column:
-            new = F.get(ranks, at - 1)
-            before = F.when(at > 1, F.array(rank(F.get(ids, at - 2), new))).otherwise(F.array().cast("array<int>"))
-            after = F.when(at < F.size(ranks), F.array(rank(new, F.get(ids, at + 1)))).otherwise(F.array().cast("array<int>"))
-            return F.struct(
-                F.concat(F.slice(ids, 1, at - 1), F.array(new), F.slice(ids, at + 2, F.size(ids))).alias("ids"),
-                F.concat(F.slice(ranks, 1, F.greatest(at - 2, F.lit(0))), before, after, F.slice(ranks, at + 2, F.size(ranks))).alias("ranks"),
-            )
-
-        least = F.coalesce(F.array_min(ranks), F.lit(NEVER))
-        return let(least, lambda r: F.when(r < NEVER, let(F.array_position(ranks, r).cast("int"), joined)).otherwise(state))
-
-    def fold(ids: Column) -> Column:
-        n = F.size(ids)
-        ranks = F.transform(F.sequence(F.lit(0), n - 2), lambda i: rank(F.get(ids, i), F.get(ids, i + 1)))
-        start = F.struct(ids.alias("ids"), ranks.alias("ranks"))
-        return F.when(n < 2, ids).otherwise(F.aggregate(F.sequence(F.lit(2), n), start, step, lambda s: s["ids"]))
+    offsets, entries = vocabulary.packed()
+    # one literal, bound once: were it repeated in the expression, every task would read each repetition
+    tables = F.struct(literal(offsets, "int").alias("offsets"), literal(entries, "int").alias("entries"), literal([vocabulary.ranks[bytes([b])] for b in range(256)], "int").alias("bytes"))
+    nothing = F.array().cast("array<int>")
+
+    def with_tables(t: Column, word: Column) -> Column:
+        def rank(left: Column, right: Column) -> Column:
+            def known(entry: Column) -> Column:
+                return F.when(F.shiftrightunsigned(entry, 16) == left, entry.bitwiseAND(F.lit(65_535))).otherwise(NEVER)
+
+            return let(F.get(t["entries"], F.get(t["offsets"], left) + right), known)
+
+        def step(state: Column, _: Column) -> Column:
+            ids, ranks = state["ids"], state["ranks"]
+
+            def joined(at: Column) -> Column:
+                new = F.get(ranks, at - 1)
+                before = F.when(at > 1, F.array(rank(F.get(ids, at - 2), new))).otherwise(nothing)
+                after = F.when(at < F.size(ranks), F.array(rank(new, F.get(ids, at + 1)))).otherwise(nothing)
+                return F.struct(
+                    F.concat(F.slice(ids, 1, at - 1), F.array(new), F.slice(ids, at + 2, F.size(ids))).alias("ids"),
+                    F.concat(F.slice(ranks, 1, F.greatest(at - 2, F.lit(0))), before, after, F.slice(ranks, at + 2, F.size(ranks))).alias("ranks"),
+                )
+
+            least = F.coalesce(F.array_min(ranks), F.lit(NEVER))
+            return let(least, lambda r: F.when(r < NEVER, let(F.array_position(ranks, r).cast("int"), joined)).otherwise(state))
+
+        def fold(ids: Column) -> Column:
+            n = F.size(ids)
+            ranks = F.transform(F.sequence(F.lit(0), n - 2), lambda i: rank(F.get(ids, i), F.get(ids, i + 1)))
+            start = F.struct(ids.alias("ids"), ranks.alias("ranks"))
+            return F.when(n < 2, ids).otherwise(F.aggregate(F.sequence(F.lit(2), n), start, step, lambda s: s["ids"]))
+
+        # Latin-1 has one character for each byte
+        ids = F.transform(F.split(F.decode(word.cast("binary"), "ISO-8859-1"), ""), lambda c: F.get(t["bytes"], F.ascii(c)))
+        return let(F.filter(ids, lambda i: i.isNotNull()), fold)
 
     def encode(word: Column) -> Column:
-        hexes = F.hex(word.cast("binary"))
-        ids = F.transform(F.sequence(F.lit(0), F.octet_length(word) - 1), lambda i: F.get(of_byte, F.conv(F.substr(hexes, i * 2 + 1, F.lit(2)), 16, 10).cast("int")))
-        return F.when(F.octet_length(word) == 0, F.array().cast("array<int>")).otherwise(let(ids, fold))
+        return F.when(F.octet_length(word) == 0, nothing).otherwise(let(tables, lambda t: with_tables(t, word)))
 
     return encode
 
