@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.metrics import Metric
 from ..functions.ticks import coin
+from ..plans.lineage import cut
 from . import extremum, kcenter, linkage, sampling
 from .judges import Judge
 
@@ -79,7 +80,7 @@ def clusters_of_yes(df: DataFrame, yes: DataFrame, rounds: int = 50) -> DataFram
     both = yes.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(yes.select(F.col("b").alias("u"), F.col("a").alias("v"))).persist()
     for _ in range(rounds):
         low = both.join(label.withColumnRenamed("id", "v"), "v").groupBy(F.col("u").alias("id")).agg(F.min("center_id").alias("low"))
-        after = label.join(low, "id", "left").select("id", F.least("center_id", F.coalesce("low", "center_id")).alias("center_id")).persist()
+        after = cut(label.join(low, "id", "left").select("id", F.least("center_id", F.coalesce("low", "center_id")).alias("center_id")))
         moved = after.join(label.withColumnRenamed("center_id", "old"), "id").where("center_id <> old").count()
         label = after
         if not moved:

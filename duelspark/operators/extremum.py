@@ -11,6 +11,7 @@ from dataclasses import replace
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.lineage import cut
 from . import sampling, scores
 from .judges import Judge, item
 
@@ -144,8 +145,7 @@ def robust_coin(df: DataFrame, judge: Judge, delta: float = 0.1, sample_const: f
         wins = F.aggregate(sample, F.lit(0), lambda s, x: s + directed.beats(item(F.col("id"), F.col("val")), x).cast("int"))
         rest = now.where(~F.col("id").isin([i for i, _ in drawn]))
         asked += (left - len(drawn)) * len(drawn)
-        after = rest.where(wins >= F.lit(keep_share * len(drawn))).persist()
-        now = after
+        now = cut(rest.where(wins >= F.lit(keep_share * len(drawn))))
     pool = now
     if kept_samples:
         pool = now.unionByName(df.sparkSession.createDataFrame(kept_samples, "id long, val long")).distinct()

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from ..functions.metrics import Metric
 from ..functions.ticks import coin
+from ..plans.lineage import cut
 from . import extremum, sampling, votes
 from .judges import Judge, item, pair_id
 
@@ -193,7 +194,8 @@ def coin_noise(df: DataFrame, k: int, m: int, metric: Metric, judge: Judge, delt
         for j, core in enumerate(cores):
             stays = F.col("id").isin([c["id"] for c in core])
             moves = F.when(F.col("cur") == j, ~stays & votes.core_vote(u, new, as_literal(core), judge, metric, share)).otherwise(moves)
-        state = state.select("id", "payload", F.when((F.col("id") == centers[-1]["id"]) | (moves & ~F.col("id").isin([c["id"] for c in centers])), len(centers) - 1).otherwise(F.col("cur")).alias("cur")).persist()
+        state = state.select("id", "payload", F.when((F.col("id") == centers[-1]["id"]) | (moves & ~F.col("id").isin([c["id"] for c in centers])), len(centers) - 1).otherwise(F.col("cur")).alias("cur"))
+        state = cut(state)
         cores.append(extract_core(state.where(F.col("cur") == len(centers) - 1), centers[-1], metric, judge, size, seed))
     rest = sweep_assign(df.join(sample.select("id"), "id", "left_anti"), centers, cores, metric, judge, share) if thin else df.limit(0).select("id", "payload").withColumn("cur", F.lit(0))
     ids = F.array(*(F.lit(c["id"]).cast("long") for c in centers))
