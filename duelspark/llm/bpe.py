@@ -151,8 +151,8 @@ def encoder(vocabulary: Vocabulary):
                     F.concat(F.slice(ranks, 1, F.greatest(at - 2, F.lit(0))), before, after, F.slice(ranks, at + 2, F.size(ranks))).alias("ranks"),
                 )
 
-            least = F.coalesce(F.array_min(ranks), F.lit(NEVER))
-            return let(least, lambda r: F.when(r < NEVER, let(F.array_position(ranks, r).cast("int"), joined)).otherwise(state))
+            # position 0 where no pair is left, and then there is no rank before it
+            return let(F.array_position(ranks, F.array_min(ranks)).cast("int"), lambda at: F.when(F.get(ranks, at - 1) < NEVER, joined(at)).otherwise(state))
 
         def fold(ids: Column) -> Column:
             n = F.size(ids)
@@ -224,18 +224,21 @@ def frequent_words(counts: DataFrame, remembered: int) -> DataFrame:
     return counts.where(level >= least)
 
 
-def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 200_000, longest: int = 256) -> DataFrame:
-    """doc_id and ids (little-endian unsigned 32-bit integers as bytes) of every text."""
+def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 400_000, longest: int = 256, decoded: bool = False) -> DataFrame:
+    """doc_id and ids (little-endian unsigned 32-bit integers as bytes) of every text, and with `decoded` the bytes that these decode to."""
     spark, fold = documents.sparkSession, encoder(vocabulary)
     words = frequent_words(word_counts(documents, pattern), remembered)
     partitions = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     known = words.select("word").repartition(partitions).select("word", fold(F.col("word")).alias("ids")).toPandas()
-    shared = spark.sparkContext.broadcast(({w: np.asarray(i, "<u4").tobytes() for w, i in zip(known["word"], known["ids"], strict=True)}, vocabulary))
+    found = {w: np.asarray(i, "<u4").tobytes() for w, i in zip(known["word"], known["ids"], strict=True)}
+    del known
+    shared, pieces = spark.sparkContext.broadcast((found, vocabulary)), spark.sparkContext.broadcast(vocabulary.pieces() if decoded else [])
+    del found
 
     def look_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, vocabulary = shared.value
         split, get, long_words = Splitter(pattern), known.get, {}
-        for batch in batches:
+        for batch in slices(batches):
             codes, rare = [], []
             for text in batch.column(1):
                 words = split(text.as_py())
@@ -254,7 +257,8 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(codes, pa.binary()), pa.array(rare, pa.list_(pa.string()))], names=["doc_id", "codes", "rare"])
 
     def fill_in(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        piece = pieces.value.__getitem__
+        for batch in slices(batches):
             out = []
             for codes, rare in zip(batch.column(1), batch.column(2), strict=True):
                 codes, rare = codes.as_py(), rare.values
@@ -271,11 +275,22 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
                     new[spread] = flat[source[spread]]
                     codes = new.astype("<u4").tobytes()
                 out.append(codes)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=["doc_id", "ids"])
+            columns = [batch.column(0), pa.array(out, pa.binary())]
+            if decoded:
+                columns.append(pa.array([b"".join(map(piece, np.frombuffer(ids, "<u4").tolist())) for ids in out], pa.binary()))
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "ids", "decoded"][: len(columns)])
 
     looked = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(look_up, "doc_id long, codes binary, rare array<string>")
     folded = looked.select("doc_id", "codes", F.transform("rare", fold).alias("rare"))
-    return folded.mapInArrow(fill_in, "doc_id long, ids binary")
+    # one worker fills in and decodes: every Python step of a plan has a process of its own
+    return folded.mapInArrow(fill_in, "doc_id long, ids binary" + ", decoded binary" * decoded)
+
+
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.RecordBatch]:
+    """Smaller batches, so that what is made of one stays small."""
+    for batch in batches:
+        for k in range(0, batch.num_rows, rows):
+            yield batch.slice(k, rows)
 
 
 def decode(encoded: DataFrame, vocabulary: Vocabulary, column: str = "ids") -> DataFrame:
@@ -284,7 +299,7 @@ def decode(encoded: DataFrame, vocabulary: Vocabulary, column: str = "ids") -> D
 
     def join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         piece = shared.value.__getitem__
-        for batch in batches:
+        for batch in slices(batches):
             texts = [b"".join(map(piece, np.frombuffer(ids.as_buffer(), "<u4").tolist())) for ids in batch.column(at)]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.binary())], names=[*batch.schema.names, "decoded"])
 
@@ -294,8 +309,7 @@ def decode(encoded: DataFrame, vocabulary: Vocabulary, column: str = "ids") -> D
 def round_trip(documents: DataFrame, path: str, pattern: str, **limits: int) -> DataFrame:
     """doc_id, n_tokens and the digests of ids and decoded bytes."""
     vocabulary = Vocabulary.read(path)
-    decoded = decode(encode(documents, vocabulary, pattern, **limits), vocabulary)
-    return decoded.select("doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
+    return encode(documents, vocabulary, pattern, decoded=True, **limits).select("doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
 def digest(ids: list[int]) -> str:
