@@ -1,3 +1,5 @@
+import time
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
@@ -47,8 +49,10 @@ def test_late_events_and_duplicates(spark, tmp_path):
     at = lambda m: dt.datetime(2024, 1, 1) + dt.timedelta(minutes=m)
     first = [(1, at(0), 1, "a", 5.0, "{}"), (1, at(0), 1, "a", 5.0, "{}"), (2, at(600), 1, "a", 7.0, "{}")]
     late = [(3, at(1), 1, "a", 99.0, "{}"), (4, at(700), 1, "a", 1.0, "{}")]
-    for i, rows in enumerate((first, late)):
+    middle = [(5, at(650), 1, "a", 2.0, "{}")]  # with two stateful steps the watermark holds from the batch after the next
+    for i, rows in enumerate((first, middle, late)):
         spark.createDataFrame(rows, windows.EVENTS).coalesce(1).write.parquet(str(tmp_path / f"in{i}"))
+        time.sleep(1.1)  # files are read in the order of their times
     stream = spark.readStream.schema(windows.EVENTS).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True).parquet(str(tmp_path))
     got = windows.run_to_end(windows.window_maxima(windows.deduplicated(stream, "10 minutes"), "1 hour"), "late_maxima", "append")
     rows = {r["start"].hour: (r["best"], r["n"]) for r in got.collect()}
