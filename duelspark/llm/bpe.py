@@ -224,13 +224,17 @@ def frequent_words(counts: DataFrame, remembered: int) -> DataFrame:
     return counts.where(level >= least)
 
 
-def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 400_000, longest: int = 256, decoded: bool = False) -> DataFrame:
+def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 300_000, longest: int = 256, decoded: bool = False) -> DataFrame:
     """doc_id and ids (little-endian unsigned 32-bit integers as bytes) of every text, and with `decoded` the bytes that these decode to."""
     spark, fold = documents.sparkSession, encoder(vocabulary)
     words = frequent_words(word_counts(documents, pattern), remembered)
     partitions = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    known = words.select("word").repartition(partitions).select("word", fold(F.col("word")).alias("ids")).toPandas()
-    found = {w: np.asarray(i, "<u4").tobytes() for w, i in zip(known["word"], known["ids"], strict=True)}
+    known = words.select("word").repartition(partitions).select("word", fold(F.col("word")).alias("ids")).toArrow()
+    found: dict[str, bytes] = {}
+    for part in known.to_batches(max_chunksize=10_000):
+        ids = part.column(1)
+        flat, starts = ids.values.to_numpy(), ids.offsets.to_numpy()
+        found.update((w, flat[i:j].astype("<u4").tobytes()) for w, i, j in zip(part.column(0).to_pylist(), starts, starts[1:], strict=False))
     del known
     shared, pieces = spark.sparkContext.broadcast((found, vocabulary)), spark.sparkContext.broadcast(vocabulary.pieces() if decoded else [])
     del found
