@@ -35,7 +35,7 @@ def values_skewed(spark: SparkSession, sf_dir: str) -> DataFrame:
 def values_large(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Prices of lineitem, which has no key: the id is the head of an md5 over the columns that tell rows apart."""
     df = table(spark, sf_dir, "lineitem")
-    key = F.md5(F.concat_ws("|", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", ticks(F.col("l_extendedprice")), F.unix_seconds("l_shipdate")))
+    key = F.md5(F.concat_ws("|", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", ticks(F.col("l_extendedprice")), F.col("l_shipdate").cast("string")))
     return judged(df.select(F.conv(F.substring(key, 1, 15), 16, 10).cast("long").alias("id"), "l_extendedprice"), "id", "l_extendedprice")
 
 

@@ -663,6 +663,120 @@ def six_items_fscore(spark, sf_dir):
     return measures.pair_answers_fscore(pairs).select(F.col("fscore").cast("decimal(2,1)").alias("pairwise")).crossJoin(full.select(F.col("fscore").cast("decimal(2,1)").alias("comparisons")))
 
 
+# --- experiments with a crowd judge, and sweeps over k
+
+
+SETS = {"embeddings": (tables.vectors, metrics.euclid, 0), "customers": (tables.customer_tree, metrics.tree, 1), "parts": (tables.part_catalogue, metrics.catalogue, 1)}
+
+
+def _crowd(spark, sf_dir, want):
+    judge, out = Judge.crowd(0.15, seed=SEED), None
+    for name, (load, metric, at) in SETS.items():
+        gaps = proximity.distances(load(spark, sf_dir), at, metric)
+        for method, found in (("ours", extremum.robust_band(gaps, judge, t=1, want=want, seed=SEED)), ("knockout", baselines.knockout(gaps, judge, want, SEED)), ("sampler", baselines.sampled_round_robin(gaps, judge, want, SEED))):
+            row = measures.against_best(gaps, found, want).select(F.lit(name).alias("data"), F.lit(method).alias("method"), "winner_val", "best_val", "questions")
+            out = row if out is None else out.unionByName(row)
+    return out.withColumn("dollars", F.round(F.col("questions") * measures.QUESTION_PRICE, 2))
+
+
+@query()
+def farthest_crowd(spark, sf_dir):
+    """Farthest record under a majority of three workers: ours, knockout, sampler, and the true optimum, on three metrics."""
+    return _crowd(spark, sf_dir, "max")
+
+
+@query()
+def nearest_crowd(spark, sf_dir):
+    return _crowd(spark, sf_dir, "min")
+
+
+@query()
+def kcenter_band_objective(spark, sf_dir):
+    """Radius by k under band noise, ours against greedy on true distances; the ratio stays under 2 (1 + mu)**9."""
+    df, out = tables.customer_tree(spark, sf_dir).select("id", "payload"), None
+    for k in (2, 5, 8):
+        ours, _ = kcenter.band(df, k, metrics.tree, Judge.band(0.05, seed=SEED), seed=SEED)
+        exact, _ = kcenter.exact_greedy(df, k, metrics.tree, seed=SEED)
+        row = measures.objective(ours).crossJoin(measures.objective(exact).withColumnRenamed("radius", "best")).select(F.lit(k).alias("k"), "radius", "best", F.round(F.col("radius") / F.col("best"), 6).alias("ratio"), F.lit(ledger.kcenter_band(df.count(), k)).alias("questions"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query(HELD)
+def kcenter_ratio(spark, sf_dir):
+    """The band-noise radius is within 2 (1 + mu)**9 of greedy's on true distances."""
+    df = tables.vectors(spark, sf_dir).select("id", "payload")
+    ours, _ = kcenter.band(df, 4, metrics.euclid, Judge.band(0.05, seed=SEED), seed=SEED)
+    exact, _ = kcenter.exact_greedy(df, 4, metrics.euclid, seed=SEED)
+    both = measures.objective(ours).crossJoin(measures.objective(exact).withColumnRenamed("radius", "best"))
+    return held(both, F.col("radius") <= F.col("best") * measures.kcenter_bound(0.05))
+
+
+@query()
+def kcenter_feature_greedy(spark, sf_dir):
+    """Clusters of the parts by the similarity of their names alone, without a question."""
+    df = tables.part_catalogue(spark, sf_dir)
+    found, _ = baselines.feature_greedy(df.select("id", F.col("payload.words").alias("payload")), 6, metrics.jaccard)
+    return measures.pair_fscore(found, df.select("id", "truth"))
+
+
+@query()
+def same_cluster_questions(spark, sf_dir):
+    """Clusters from 150 same-cluster questions, against the regions."""
+    df = tables.customer_tree(spark, sf_dir).select("id", "truth")
+    pairs = baselines.same_cluster_pairs(df, 150, SEED)
+    named = pairs.join(df.withColumnsRenamed({"id": "a", "truth": "ta"}), "a").join(df.withColumnsRenamed({"id": "b", "truth": "tb"}), "b")
+    yes = named.where(same_cluster(F.col("ta"), F.col("tb"), F.col("a"), F.col("b"), 0.5, 0.02, SEED)).select("a", "b")
+    return measures.pair_fscore(baselines.clusters_of_yes(df, yes), df)
+
+
+@query(f"""WITH c AS (SELECT * FROM embeddings WHERE vec_id = 0), r AS (SELECT * FROM embeddings WHERE vec_id IN (10, 20, 30, 40, 50))
+SELECT u.vec_id AS id, CAST(sum(CASE WHEN {GAP.format("u", "c", "")} < {GAP.format("u", "r", "")} OR ({GAP.format("u", "c", "")} = {GAP.format("u", "r", "")}) THEN 1 ELSE 0 END) AS BIGINT) AS yes FROM embeddings u, c, r WHERE u.vec_id NOT IN (0, 10, 20, 30, 40, 50) GROUP BY 1""")
+def assign_by_core_votes(spark, sf_dir):
+    """How many of five core members say that a record is at least as near to the new center 0 as to themselves, by an exact judge."""
+    df = tables.vectors(spark, sf_dir).select("id", "payload")
+    core = kcenter.as_literal(df.where(F.col("id").isin(10, 20, 30, 40, 50)).orderBy("id").collect())
+    center = kcenter.as_literal(df.where("id = 0").collect())[0]
+    rest = df.where(~F.col("id").isin(0, 10, 20, 30, 40, 50))
+    return rest.select("id", votes.core_yes(F.struct("id", "payload"), center, core, Judge.exact(), metrics.euclid).cast("long").alias("yes"))
+
+
+@query(HELD)
+def sweep_assign_exact(spark, sf_dir):
+    """Under an exact judge the final sweep over planted clusters puts every record with a center of its own label."""
+    df = tables.planted(spark, sf_dir)
+    metric = metrics.planted(4.0)
+    first = df.groupBy("truth").agg(F.min("id").alias("id")).orderBy("id")
+    centers = df.join(first.select("id"), "id").orderBy("id").select("id", "payload", "truth").collect()[:4]
+    cores = [[c, *df.where((F.col("truth") == c["truth"]) & (F.col("id") != c["id"])).orderBy("id").limit(3).select("id", "payload").collect()] for c in centers]
+    rest = df.where(F.col("truth").isin([c["truth"] for c in centers]))
+    label = F.array(*(F.lit(c["truth"]) for c in centers))
+    swept = kcenter.sweep_assign(rest, centers, cores, metric, Judge.exact()).join(rest.select("id", "truth"), "id")
+    return held(swept, F.get(label, F.col("cur")) == F.col("truth"))
+
+
+@query()
+def linkage_merged_distance(spark, sf_dir):
+    """Mean merged distance by step inside each planted cluster, single linkage under band noise."""
+    df = tables.planted(spark, sf_dir)
+    merges = linkage.hierarchy(df, linkage.planted(4.0), Judge.band(0.2, seed=SEED), "single", "truth")
+    return measures.merged_distance(merges)
+
+
+@query()
+def ledger_largest(spark, sf_dir):
+    """Questions and seconds of the robust and the baseline extremes on lineitem at mu = 1."""
+    import time
+
+    df, judge, book = tables.values_large(spark, sf_dir), Judge.band(1.0, seed=SEED), ledger.Ledger()
+    for want in ("max", "min"):
+        for method, run in (("ours", lambda w: extremum.robust_band(df, judge, t=1, want=w, seed=SEED)), ("knockout", lambda w: baselines.knockout(df, judge, w, SEED)), ("sampler", lambda w: baselines.sampled_round_robin(df, judge, w, SEED))):
+            began = time.monotonic()
+            row = run(want).first()
+            book.record(method, want, row["questions"], seconds=round(time.monotonic() - began, 3))
+    return book.frame(spark)
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The robust maximum of the order totals under band noise, mu = 1."""
     return extremum.robust_band(tables.values_flat(spark, sf_dir), Judge.band(1.0, seed=SEED), seed=SEED)
