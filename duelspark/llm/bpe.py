@@ -230,18 +230,18 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
     words = frequent_words(word_counts(documents, pattern), remembered)
     partitions = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     known = words.select("word").repartition(partitions).select("word", fold(F.col("word")).alias("ids")).toArrow()
-    found: dict[str, bytes] = {}
-    for part in known.to_batches(max_chunksize=10_000):
-        ids = part.column(1)
-        flat, starts = ids.values.to_numpy(), ids.offsets.to_numpy()
-        found.update((w, flat[i:j].astype("<u4").tobytes()) for w, i, j in zip(part.column(0).to_pylist(), starts, starts[1:], strict=False))
-    del known
-    shared, pieces = spark.sparkContext.broadcast((found, vocabulary)), spark.sparkContext.broadcast(vocabulary.pieces() if decoded else [])
-    del found
+    # sent as one block of Arrow bytes: the driver never holds a dictionary of the words
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, known.schema) as stream:
+        stream.write_table(known, max_chunksize=10_000)
+    block = sink.getvalue().to_pybytes()
+    del known, sink
+    shared, pieces = spark.sparkContext.broadcast((block, vocabulary)), spark.sparkContext.broadcast(vocabulary.pieces() if decoded else [])
+    del block
 
     def look_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, vocabulary = shared.value
-        split, get, long_words = Splitter(pattern), known.get, {}
+        block, vocabulary = shared.value
+        split, get = Splitter(pattern), remembered_ids(block).get
         for batch in slices(batches):
             codes, rare = [], []
             for text in batch.column(1):
@@ -290,6 +290,22 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
     return folded.mapInArrow(fill_in, "doc_id long, ids binary" + ", decoded binary" * decoded)
 
 
+_remembered: tuple[bytes, dict[str, bytes]] = (b"", {})
+
+
+def remembered_ids(block: bytes) -> dict[str, bytes]:
+    """Words and their ids from Arrow bytes (word, ids), once in each worker process."""
+    global _remembered
+    if _remembered[0] is not block:
+        found: dict[str, bytes] = {}
+        for part in pa.ipc.open_stream(block):
+            ids = part.column(1)
+            flat, starts = ids.values.to_numpy(), ids.offsets.to_numpy()
+            found.update((w, flat[i:j].astype("<u4").tobytes()) for w, i, j in zip(part.column(0).to_pylist(), starts, starts[1:], strict=False))
+        _remembered = (block, found)
+    return _remembered[1]
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.RecordBatch]:
     """Smaller batches, so that what is made of one stays small."""
     for batch in batches:
