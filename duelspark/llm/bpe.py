@@ -190,7 +190,7 @@ class Splitter:
         return (self.fast if self.plain.fullmatch(text) else self.whole).findall(text)
 
 
-def word_counts(documents: DataFrame, pattern: str, text_column: str = "text", longest: int = 64, at_once: int = 300_000) -> DataFrame:
+def word_counts(documents: DataFrame, pattern: str, text_column: str = "text", longest: int = 64, at_once: int = 100_000) -> DataFrame:
     """word, n over all texts; longer words are left to the documents' own rows."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -224,7 +224,7 @@ def frequent_words(counts: DataFrame, remembered: int) -> DataFrame:
     return counts.where(level >= least)
 
 
-def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 300_000, longest: int = 256, decoded: bool = False) -> DataFrame:
+def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 200_000, longest: int = 256, decoded: bool = False) -> DataFrame:
     """doc_id and ids (little-endian unsigned 32-bit integers as bytes) of every text, and with `decoded` the bytes that these decode to."""
     spark, fold = documents.sparkSession, encoder(vocabulary)
     words = frequent_words(word_counts(documents, pattern), remembered)
@@ -290,20 +290,14 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
     return folded.mapInArrow(fill_in, "doc_id long, ids binary" + ", decoded binary" * decoded)
 
 
-_remembered: tuple[bytes, dict[str, bytes]] = (b"", {})
-
-
 def remembered_ids(block: bytes) -> dict[str, bytes]:
-    """Words and their ids from Arrow bytes (word, ids), once in each worker process."""
-    global _remembered
-    if _remembered[0] is not block:
-        found: dict[str, bytes] = {}
-        for part in pa.ipc.open_stream(block):
-            ids = part.column(1)
-            flat, starts = ids.values.to_numpy(), ids.offsets.to_numpy()
-            found.update((w, flat[i:j].astype("<u4").tobytes()) for w, i, j in zip(part.column(0).to_pylist(), starts, starts[1:], strict=False))
-        _remembered = (block, found)
-    return _remembered[1]
+    """Words and their ids from Arrow bytes (word, ids). Made for each task, so that idle workers hold none."""
+    found: dict[str, bytes] = {}
+    for part in pa.ipc.open_stream(block):
+        ids = part.column(1)
+        flat, starts = ids.values.to_numpy(), ids.offsets.to_numpy()
+        found.update((w, flat[i:j].astype("<u4").tobytes()) for w, i, j in zip(part.column(0).to_pylist(), starts, starts[1:], strict=False))
+    return found
 
 
 def slices(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.RecordBatch]:
@@ -311,6 +305,7 @@ def slices(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.Re
     for batch in batches:
         for k in range(0, batch.num_rows, rows):
             yield batch.slice(k, rows)
+    pa.default_memory_pool().release_unused()
 
 
 def decode(encoded: DataFrame, vocabulary: Vocabulary, column: str = "ids") -> DataFrame:
