@@ -777,6 +777,80 @@ def ledger_largest(spark, sf_dir):
     return book.frame(spark)
 
 
+def _suppliers(spark, sf_dir):
+    return tables.table(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("id"), ticks(F.col("s_acctbal") + 1000).alias("payload"))
+
+
+@query(HELD)
+def linkage_complete_exact(spark, sf_dir):
+    """Neighbour pointers and witness pairs give the distances of the search over all cluster pairs."""
+    df = _suppliers(spark, sf_dir)
+    fast, slow = (linkage.hierarchy(df, linkage.line, Judge.exact(), "complete", naive=naive).select("step", "link_dist") for naive in (False, True))
+    return held(fast.join(slow.withColumnRenamed("link_dist", "other"), "step"), F.col("link_dist") == F.col("other"))
+
+
+@query(HELD)
+def linkage_single_band(spark, sf_dir):
+    """Merged distances under band noise are on average within (1 + mu)**3 of the exact hierarchy's."""
+    df = _suppliers(spark, sf_dir)
+    return held(measures.merge_ratio(linkage.hierarchy(df, linkage.line, Judge.band(0.5, seed=SEED)), baselines.linkage_exact(df, linkage.line)), F.col("ratio") <= 1.5**3)
+
+
+@query(HELD)
+def linkage_complete_band(spark, sf_dir):
+    df = _suppliers(spark, sf_dir)
+    return held(measures.merge_ratio(linkage.hierarchy(df, linkage.line, Judge.band(0.5, seed=SEED), "complete"), baselines.linkage_exact(df, linkage.line, "complete")), F.col("ratio") <= 1.5**3)
+
+
+@query("SELECT CAST(count(DISTINCT label) - 1 AS BIGINT) AS merges, CAST(count(*) AS BIGINT) AS last_size FROM embeddings")
+def linkage_groups_coin(spark, sf_dir):
+    """A hierarchy over given groups of small diameter, compared by votes of their members under coin noise."""
+    merges = linkage.over_groups(tables.planted(spark, sf_dir), "truth", linkage.planted(4.0), Judge.coin(0.2, seed=SEED))
+    return merges.agg(F.count("*").alias("merges"), F.max("size").alias("last_size"))
+
+
+@query("SELECT CAST(count(*) - 1 AS BIGINT) AS merges FROM customer")
+def linkage_blocked(spark, sf_dir):
+    """Hierarchies inside nations and one over their medoids merge all customers."""
+    df = tables.customer_tree(spark, sf_dir).withColumn("nation", F.col("payload.nation"))
+
+    def tree(a, b) -> int:
+        level = 8 if a["region"] != b["region"] else 2 if a["nation"] != b["nation"] else 1 if a["segment"] != b["segment"] else 0
+        return level * 1_000_000 + abs(a["bal"] - b["bal"]) // 20_000
+
+    return linkage.blocked(df, "nation", tree, Judge.band(0.2, seed=SEED)).agg(F.count("*").alias("merges"))
+
+
+@query(HELD)
+def nearest_coin_rank(spark, sf_dir):
+    df = tables.customer_tree(spark, sf_dir)
+    gaps = proximity.distances(df, 1, metrics.tree)
+    found = proximity.nearest_coin(df, 1, metrics.tree, Judge.coin(0.2, seed=SEED)).withColumn("winner_val", -F.col("winner_val"))
+    return held(measures.rank_of(gaps.select("id", (-F.col("val")).alias("val")), found), F.col("rank") <= 4 * math.log(gaps.count() / DELTA) ** 2)
+
+
+@query()
+def anchored_asymmetry(spark, sf_dir):
+    """Share of right votes by anchors, for questions in both orders, by vote mode: 0.3 protects one direction only."""
+    df = tables.planted(spark, sf_dir)
+    metric, p = metrics.planted(4.0), 0.3
+    gaps = proximity.distances(df, 0, metric)
+    anchors = kcenter.as_literal(df.join(gaps.orderBy("val", "id").limit(24), "id").select("id", "payload").collect())
+    joined = df.join(gaps, "id").select(F.struct("id", "payload").alias("x"), "val", "truth")
+    near = joined.where(F.col("val") < 2_000_000)
+    far = joined.where(F.col("val") >= 3_000_000).withColumnsRenamed({"x": "y", "val": "other", "truth": "t2"})
+    both = near.join(far, F.pmod(F.col("x.id"), F.lit(7)) == F.pmod(F.col("y.id"), F.lit(7)))
+    judge = Judge.coin(p, seed=SEED)
+    yes = lambda a, b: votes.anchored_yes(F.col(a), F.col(b), anchors, judge, metric)
+    counted = both.select(yes("x", "y").alias("n"), yes("y", "x").alias("m"))
+    out = None
+    for mode in votes.MODES:
+        share = votes.vote_share(mode, p) * 24
+        row = counted.agg(F.lit(mode).alias("mode"), F.round(F.avg((F.col("n") >= share).cast("double")), 4).alias("nearer_first"), F.round(F.avg((F.col("m") < share).cast("double")), 4).alias("farther_first"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The robust maximum of the order totals under band noise, mu = 1."""
     return extremum.robust_band(tables.values_flat(spark, sf_dir), Judge.band(1.0, seed=SEED), seed=SEED)
