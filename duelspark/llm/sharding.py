@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from .common import materialise, unmaterialise
 
-PARTS = 64
+PARTS, PART_ROWS = 64, 100_000
 
 
 def propagate(nodes: DataFrame, links: DataFrame, shards: int, rounds: int = 4, slack: float = 0.02) -> DataFrame:
@@ -55,9 +55,10 @@ def propagate(nodes: DataFrame, links: DataFrame, shards: int, rounds: int = 4,
 
 def level(labels: DataFrame, shards: int) -> DataFrame:
     """id, shard, slot: counts at most one apart, slots without gaps from 0."""
-    part = F.when(F.col("linked"), F.lit(0)).otherwise(F.lit(PARTS)) + F.pmod(F.xxhash64("id", F.lit("part")), F.lit(PARTS)).cast("int")
+    parts = max(PARTS, -(-labels.count() // (shards * PART_ROWS)))
+    part = F.when(F.col("linked"), F.lit(0)).otherwise(F.lit(parts)) + F.pmod(F.xxhash64("id", F.lit("part")), F.lit(parts)).cast("int")
     parted = labels.withColumn("part", part)
-    counts = parted.groupBy("shard", "part").agg(F.count("*").alias("n"))  # shards x 2 x PARTS rows at most
+    counts = parted.groupBy("shard", "part").agg(F.count("*").alias("n"))  # a row for about PART_ROWS records, and 2 x PARTS x shards at least
     before = counts.select("shard", "part", (F.sum("n").over(W.partitionBy("shard").orderBy("part")) - F.col("n")).alias("before"))
     ranked = parted.withColumn("within", F.row_number().over(W.partitionBy("shard", "part").orderBy("id"))).join(F.broadcast(before), ["shard", "part"]).withColumn("rank", F.col("before") + F.col("within") - 1)
     load = {r["shard"]: r["n"] for r in counts.groupBy("shard").agg(F.sum("n").alias("n")).collect()}
