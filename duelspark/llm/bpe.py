@@ -34,6 +34,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import slices
+
 NEVER = 1 << 30  # rank of a pair that is no token
 EMPTY = -1  # as an unsigned number its left id is 65,535, which no vocabulary here has
 RARE = 0x80000000
@@ -300,14 +302,6 @@ def remembered_ids(block: bytes) -> dict[str, bytes]:
     return found
 
 
-def slices(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.RecordBatch]:
-    """Smaller batches, so that what is made of one stays small."""
-    for batch in batches:
-        for k in range(0, batch.num_rows, rows):
-            yield batch.slice(k, rows)
-    pa.default_memory_pool().release_unused()
-
-
 def decode(encoded: DataFrame, vocabulary: Vocabulary, column: str = "ids") -> DataFrame:
     """The input with `decoded` (binary) for the ids."""
     shared, at, schema = encoded.sparkSession.sparkContext.broadcast(vocabulary.pieces()), encoded.columns.index(column), T.StructType([*encoded.schema.fields, T.StructField("decoded", T.BinaryType())])

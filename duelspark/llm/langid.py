@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import slices
+
 UNKNOWN = "und"
 SCHEMA = "doc_id long, held_out boolean, lang_pred string, score double"
 
@@ -96,7 +98,7 @@ def train(documents: DataFrame, buckets: int = 1 << 14, max_training: int = 20_0
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[str, np.ndarray] = {}
         docs: dict[str, int] = {}
-        for batch in batches:
+        for batch in slices(batches):
             langs = batch.column(1).to_pylist()
             for lang in langs:
                 docs[lang] = docs.get(lang, 0) + 1
@@ -153,7 +155,7 @@ def identify(documents: DataFrame, model: Model, keep: DataFrame | None = None)
     shared = documents.sparkSession.sparkContext.broadcast(model)
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             langs, scores = predict(batch.column(2).to_pylist(), shared.value)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], names=[x.split()[0] for x in SCHEMA.split(", ")])
 
@@ -167,7 +169,7 @@ def accepted(documents: DataFrame, model: Model, least: float = 0.5) -> DataFram
     names = documents.columns
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             langs, scores = predict(batch.column(names.index("text")).cast(pa.string()).to_pylist(), shared.value)
             yield batch.filter(pa.array([x != UNKNOWN and s >= least for x, s in zip(langs, scores, strict=True)], pa.bool_()))
 

@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import slices
+
 KEY = b"pseudonym key of the production query"
 ROUNDS = 8
 SCHEMA = "doc_id long, text string, n_replaced int, kinds string"
@@ -208,7 +210,7 @@ def pseudonymise(documents: DataFrame, text_column: str = "text", key: bytes = K
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = Pseudonyms(key)
-        for batch in batches:
+        for batch in slices(batches):
             column = batch.column(at)
             texts = column.cast(pa.string()).to_pylist()
             yield batch.set_column(at, batch.schema.field(at), pa.array([names.apply(t)[0] for t in texts], pa.string()).cast(column.type))
@@ -221,7 +223,7 @@ def report(documents: DataFrame, key: bytes = KEY) -> DataFrame:
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = Pseudonyms(key)
-        for batch in batches:
+        for batch in slices(batches):
             done = [names.apply(t.as_py()) for t in batch.column(1)]
             said = [",".join(f"{k}:{c[k]}" for k in KINDS if k in c) or None for _, c in done]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([t for t, _ in done], pa.string()), pa.array([sum(c.values()) for _, c in done], pa.int32()), pa.array(said, pa.string())], names=["doc_id", "text", "n_replaced", "kinds"])

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, unmaterialise
+from .common import materialise, slices, unmaterialise
 from .components import components
 from .shingles import WIDTH, mix, shingle_sets
 
@@ -121,7 +121,7 @@ def sketches(documents: DataFrame, sketch: Sketch = Sketch()) -> DataFrame:
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashing = sketch.hashing()
-        for batch in batches:
+        for batch in slices(batches):
             n, f1, f2, registers = [], [], [], []
             for s in shingle_sets(batch.column(1).to_pylist(), sketch.width):
                 n.append(len(s))
@@ -137,7 +137,7 @@ def full_sets(documents: DataFrame, ids: DataFrame, sketch: Sketch) -> DataFrame
     """id, elements (sorted 64-bit hashes as bytes), fine (the finer sketch) of the documents whose ids are given."""
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             sets = [*shingle_sets(batch.column(1).to_pylist(), sketch.width)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array([sketch.fine(s) for s in sets], pa.list_(pa.int64()))], names=["id", "elements", "fine"])
 
@@ -149,7 +149,7 @@ def likely(pairs: DataFrame, table: DataFrame, sketch: Sketch) -> DataFrame:
     """Of pairs (a, b), those whose estimate does not rule out a link."""
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             if not batch.num_rows:
                 continue
             for k in range(0, batch.num_rows, 2000):
@@ -167,7 +167,7 @@ def verified(pairs: DataFrame, sets: DataFrame, sketch: Sketch) -> DataFrame:
     """Of pairs (a, b), those whose full sets reach the similarity."""
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             keep = []
             for x, y in zip(batch.column(2), batch.column(3), strict=True):
                 x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
