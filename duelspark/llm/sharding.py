@@ -1,9 +1,11 @@
 """Sharding by balanced label propagation.
 
 Linked documents (in the query: equal texts, each linked with the first of its group) should share a shard, and shards hold
-counts at most one apart. Labels begin with a hash of each node's smallest neighbour, so that small groups start together. In
-every round a join and an aggregation count each node's neighbours by shard; nodes move towards the shard that holds most of
-them, as far as quotas allow: a shard with room for a share of those who wish to come admits that share, chosen by a hash.
+counts at most one apart. Labels begin with a hash of each node's own id, which knows nothing of the links. In every round a
+join and an aggregation count each node's neighbours by shard; nodes move towards the shard that holds most of them, as far as
+quotas allow. Even rounds listen to neighbours of smaller ids and odd rounds to those of greater ids, so that the two ends of
+a link do not change places for ever. Rows that two shards exchange are admitted, and beyond these a share that fits into the
+room of a shard, chosen by a hash; groups above a quota get only the room that smaller ones leave.
 At last the counts are made exact: rows are ranked within their shard, unlinked ones last; those beyond the quota fill the
 gaps of the other shards.
 
@@ -26,37 +28,60 @@ PARTS, PART_ROWS = 64, 100_000
 
 
 def propagate(nodes: DataFrame, links: DataFrame, shards: int, rounds: int = 4, slack: float = 0.02) -> DataFrame:
-    """nodes (id), links (a, b) -> id, shard, linked."""
+    """nodes (id), links (a, b) -> id, shard, lead (smallest of a node and its neighbours, null if unlinked), size (of the lead's group, null for small ones)."""
     both = materialise(links.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(links.select(F.col("b").alias("u"), F.col("a").alias("v"))).where("u <> v"), "links")
+    quota = nodes.count() / shards
     seeds = both.groupBy("u").agg(F.min("v").alias("v"))
-    start = nodes.join(seeds, nodes["id"] == seeds["u"], "left")
-    labels = materialise(start.select("id", F.pmod(F.xxhash64(F.least(F.col("id"), F.coalesce("v", "id"))), F.lit(shards)).cast("int").alias("shard"), F.col("u").isNotNull().alias("linked")), "labels")
-    quota = labels.count() / shards * (1 + slack)
+    start = nodes.join(seeds, nodes["id"] == seeds["u"], "left").select("id", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int").alias("shard"), F.least("u", "v").alias("lead"))
+    start = materialise(start.withColumn("lead", F.when(F.col("lead").isNotNull(), F.least("id", "lead"))), "labels")
+    sizes = start.where("lead IS NOT NULL").groupBy("lead").agg(F.count("*").alias("size")).where(F.col("size") > min(quota, PART_ROWS))  # few: at most a row for each quota or PART_ROWS records
+    labels = materialise(start.join(F.broadcast(sizes), "lead", "left").select("id", "shard", "lead", "size"), "labels")
+    unmaterialise(start)
+    wide = (F.coalesce("size", F.lit(0)) > quota).cast("int")
     for turn in range(rounds):
-        load = {r["shard"]: r["n"] for r in labels.groupBy("shard").agg(F.count("*").alias("n")).collect()}
-        votes = both.join(labels.select(F.col("id").alias("v"), "shard"), "v").groupBy("u", "shard").agg(F.count("*").alias("n"))
-        wish = votes.groupBy("u").agg(F.max(F.struct("n", (-F.col("shard")).alias("to"), )).alias("m")).select("u", (-F.col("m.to")).alias("to"), F.col("m.n").alias("gain"))
-        here = votes.withColumnRenamed("n", "kept").join(labels.select(F.col("id").alias("u"), "shard"), ["u", "shard"], "right")
-        moves = materialise(here.join(wish, "u").where("to <> shard AND gain > coalesce(kept, 0)").select("u", "to"), "moves")
-        asked = {r["to"]: r["n"] for r in moves.groupBy("to").agg(F.count("*").alias("n")).collect()}
-        if not asked:
-            unmaterialise(moves)
-            break
-        admitted = F.lit(0)
-        for to, n in asked.items():
-            admitted = F.when(F.col("to") == to, int(1_000_000 * min(0.9, max(0.0, (quota - load.get(to, 0)) / n)))).otherwise(admitted)
-        moved = moves.where(F.pmod(F.xxhash64("u", F.lit(turn)), F.lit(1_000_000)) < admitted)
-        old, labels = labels, materialise(labels.join(moved, labels["id"] == moved["u"], "left").select("id", F.coalesce("to", "shard").alias("shard"), "linked"), "labels")
+        load = {(r["shard"], r["wide"]): r["n"] for r in labels.where("lead IS NOT NULL").groupBy("shard", wide.alias("wide")).agg(F.count("*").alias("n")).collect()}
+        heard = F.col("v") < F.col("u") if turn % 2 == 0 else F.col("v") > F.col("u")
+        votes = both.join(labels.select(F.col("id").alias("v"), F.col("shard").alias("to")), "v").groupBy("u", "to").agg(F.sum(heard.cast("int")).alias("gain"), F.count("*").alias("all"))
+        mine = votes.join(labels.select(F.col("id").alias("u"), "shard", wide.alias("wide")), "u")
+        wish = mine.groupBy("u", "shard", "wide").agg(F.max(F.when(F.col("to") != F.col("shard"), F.struct("gain", (-F.col("to")).alias("to")))).alias("m"), F.coalesce(F.max(F.when(F.col("to") == F.col("shard"), F.col("all"))), F.lit(0)).alias("kept"))
+        moves = materialise(wish.where("m.gain > kept").select("u", "shard", "wide", (-F.col("m.to")).alias("to")), "moves")
+        asked = {(r["shard"], r["to"], r["wide"]): r["n"] for r in moves.groupBy("shard", "to", "wide").agg(F.count("*").alias("n")).collect()}
+        shares = admit(asked, load, shards, quota * (1 + slack))
+        at = (F.col("shard") * shards + F.col("to")) * 2 + F.col("wide")
+        admitted = F.get(F.split(F.lit(",".join(map(str, shares))), ",").cast("array<int>"), at)
+        moved = moves.where(F.pmod(F.xxhash64("u", F.lit(turn)), F.lit(1_000_000)) < admitted).select("u", "to")
+        old, labels = labels, materialise(labels.join(moved, labels["id"] == moved["u"], "left").select("id", F.coalesce("to", "shard").alias("shard"), "lead", "size"), "labels")
         unmaterialise(old)
         unmaterialise(moves)
     unmaterialise(both)
     return labels
 
 
+def admit(asked: dict[tuple[int, int, int], int], load: dict[tuple[int, int], int], shards: int, quota: float) -> list[int]:
+    """Millionths of the rows to admit, by (from, to, wide): what two shards exchange, and what fits into the room left.
+
+    Only linked rows fill a quota, as levelling sends unlinked ones away first; groups above a quota take what the others leave.
+    """
+    shares, filled = [0] * (shards * shards * 2), [0.0] * shards
+    for wide in (0, 1):
+        fair = {(s, to): min(n, asked.get((to, s, wide), 0)) for (s, to, w), n in asked.items() if w == wide}
+        beyond = [0] * shards
+        for (s, to), n in fair.items():
+            beyond[to] += asked[s, to, wide] - n
+        for to in range(shards):
+            filled[to] += load.get((to, wide), 0)
+        room = [max(0.0, quota - filled[to]) for to in range(shards)]
+        for (s, to), n in fair.items():
+            more = (asked[s, to, wide] - n) * min(1.0, room[to] / beyond[to]) if beyond[to] else 0.0
+            shares[(s * shards + to) * 2 + wide] = int(1_000_000 * (n + more) / asked[s, to, wide])
+            filled[to], filled[s] = filled[to] + more, filled[s] - more
+    return shares
+
+
 def level(labels: DataFrame, shards: int) -> DataFrame:
     """id, shard, slot: counts at most one apart, slots without gaps from 0."""
     parts = max(PARTS, -(-labels.count() // (shards * PART_ROWS)))
-    part = F.when(F.col("linked"), F.lit(0)).otherwise(F.lit(parts)) + F.pmod(F.xxhash64("id", F.lit("part")), F.lit(parts)).cast("int")
+    part = F.when(F.col("lead").isNotNull(), F.lit(0)).otherwise(F.lit(parts)) + F.pmod(F.xxhash64("id", F.lit("part")), F.lit(parts)).cast("int")
     parted = labels.withColumn("part", part)
     counts = parted.groupBy("shard", "part").agg(F.count("*").alias("n"))  # a row for about PART_ROWS records, and 2 x PARTS x shards at least
     before = counts.select("shard", "part", (F.sum("n").over(W.partitionBy("shard").orderBy("part")) - F.col("n")).alias("before"))

@@ -126,6 +126,17 @@ def test_shards(spark):
     assert sharding.shard_texts(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
 
+def test_shard_propagation_moves_rows(spark):
+    links = [(i, i - i % 4) for i in range(400) if i % 4] + [(i, 1000) for i in range(1001, 1200)]  # groups of four, and one above a quota
+    nodes, links = spark.createDataFrame([(i,) for i in [*range(400), *range(1000, 1200)]], "id long"), spark.createDataFrame(links, "a long, b long")
+    before, after = (sharding.propagate(nodes, links, 6, rounds) for rounds in (0, 4))
+    moved = before.select("id", "shard").exceptAll(after.select("id", "shard")).count()
+    assert moved > 200 and after.count() == 600
+    small = links.where("a < 1000")
+    assert sharding.cut_links(after, links) < 0.7 * sharding.cut_links(before, links) and sharding.cut_links(after, small) < 0.1 * sharding.cut_links(before, small)
+    assert after.where("id < 400").groupBy("shard").count().agg({"count": "max"}).first()[0] <= 1.1 * 100
+
+
 def test_nearest_neighbours(spark):
     rng = np.random.default_rng(2)
     x = rng.normal(size=(900, 16)).astype(np.float32)
