@@ -6,11 +6,12 @@ join and an aggregation count each node's neighbours by shard; nodes move toward
 quotas allow. Even rounds listen to neighbours of smaller ids and odd rounds to those of greater ids, so that the two ends of
 a link do not change places for ever. Rows that two shards exchange are admitted, and beyond these a share that fits into the
 room of a shard, chosen by a hash; groups above a quota get only the room that smaller ones leave.
-At last the counts are made exact: rows are ranked within their shard, unlinked ones last; those beyond the quota fill the
-gaps of the other shards.
+At last the counts are made exact: rows are ranked within their shard, groups up to a quota first and each in a run of its own,
+then those above a quota, unlinked rows last; those beyond the quota fill the gaps of the other shards.
 
 Ranks come from counts of hashed parts, so no task sorts a whole shard. Only counts per shard (and per shard and part)
-reach the driver. A group larger than a shard must be cut; no row is dropped for it.
+reach the driver. A group larger than a shard must be cut; a smaller one is cut by levelling only where a run crosses the end of
+its shard's quota or of the gap that it fills. No row is dropped for it.
 
 Defined results: null texts count as empty; repeated rows are rows of their own; with fewer rows than shards some shards are
 empty; an empty table gives an empty result.
@@ -79,13 +80,21 @@ def admit(asked: dict[tuple[int, int, int], int], load: dict[tuple[int, int], in
 
 
 def level(labels: DataFrame, shards: int) -> DataFrame:
-    """id, shard, slot: counts at most one apart, slots without gaps from 0."""
-    parts = max(PARTS, -(-labels.count() // (shards * PART_ROWS)))
-    part = F.when(F.col("lead").isNotNull(), F.lit(0)).otherwise(F.lit(parts)) + F.pmod(F.xxhash64("id", F.lit("part")), F.lit(parts)).cast("int")
-    parted = labels.withColumn("part", part)
-    counts = parted.groupBy("shard", "part").agg(F.count("*").alias("n"))  # a row for about PART_ROWS records, and 2 x PARTS x shards at least
-    before = counts.select("shard", "part", (F.sum("n").over(W.partitionBy("shard").orderBy("part")) - F.col("n")).alias("before"))
-    ranked = parted.withColumn("within", F.row_number().over(W.partitionBy("shard", "part").orderBy("id"))).join(F.broadcast(before), ["shard", "part"]).withColumn("rank", F.col("before") + F.col("within") - 1)
+    """id, shard, slot: counts at most one apart, slots without gaps from 0.
+
+    Rows are ranked within their shard by tier: groups of at most PART_ROWS, greater ones, those above a quota, unlinked rows.
+    """
+    n = labels.count()
+    parts = max(PARTS, -(-n // (shards * PART_ROWS)))
+    size = F.coalesce("size", F.lit(0))
+    tier = F.when(F.col("lead").isNull(), 3).when(size > n / shards, 2).when(size > PART_ROWS, 1).otherwise(0)
+    dealt = lambda c, key: F.pmod(F.xxhash64(c, F.lit(key)), F.lit(parts))
+    tiers = labels.withColumn("tier", tier).withColumn("part", F.when(F.col("tier") == 3, dealt("id", "part")).when(F.col("tier") == 0, dealt("lead", "part")).otherwise(F.col("lead")))
+    piece = F.when(F.col("tier").isin(1, 2), F.pmod(F.xxhash64("id", F.lit("piece")), F.ceil(size / PART_ROWS))).otherwise(F.lit(0))
+    parted, key = tiers.withColumn("piece", piece), ["shard", "tier", "part", "piece"]
+    counts = parted.groupBy(*key).agg(F.count("*").alias("n"))  # a row for about PART_ROWS records, and 2 x PARTS x shards at least
+    before = counts.select(*key, (F.sum("n").over(W.partitionBy("shard").orderBy("tier", "part", "piece").rowsBetween(W.unboundedPreceding, 0)) - F.col("n")).alias("before"))
+    ranked = parted.withColumn("within", F.row_number().over(W.partitionBy(*key).orderBy("lead", "id"))).join(F.broadcast(before), key).withColumn("rank", F.col("before") + F.col("within") - 1)
     load = {r["shard"]: r["n"] for r in counts.groupBy("shard").agg(F.sum("n").alias("n")).collect()}
     total = sum(load.values())
     quota = [total // shards + (s < total % shards) for s in range(shards)]

@@ -137,6 +137,22 @@ def test_shard_propagation_moves_rows(spark):
     assert after.where("id < 400").groupBy("shard").count().agg({"count": "max"}).first()[0] <= 1.1 * 100
 
 
+def test_shards_keep_small_groups_beside_a_hot_one(spark):
+    labels = [(i, i % 6, None, None) for i in range(600, 1000)] + [(i, 0, i - i % 2, None) for i in range(60)] + [(i, 0 if i < 500 else i % 6, 100, 500) for i in range(100, 600)]
+    got = sharding.level(spark.createDataFrame(labels, "id long, shard int, lead long, size long"), 6).toPandas()
+    sizes = got.groupby("shard").size()
+    assert len(got) == len(labels) and sizes.max() - sizes.min() <= 1 and all(sorted(g["slot"]) == list(range(len(g))) for _, g in got.groupby("shard"))
+    assert set(got[got["id"] < 60]["shard"]) == {0}
+    crowded = [(i, 0, i - i % 3, None) for i in range(600)]  # small groups alone above the quota move in runs
+    got = sharding.level(spark.createDataFrame(crowded, "id long, shard int, lead long, size long"), 6).toPandas()
+    got["lead"] = got["id"] - got["id"] % 3
+    assert (got.groupby("lead")["shard"].nunique() > 1).sum() <= 6
+    rows = [(i, "hot" if i % 3 == 0 else f"pair {i // 3}") for i in range(2400)]
+    got = sharding.shard_texts(spark.createDataFrame(rows, "doc_id long, text string")).toPandas()
+    got["text"] = got["doc_id"].map(dict(rows))
+    assert (got[got["text"] != "hot"].groupby("text")["shard"].nunique() > 1).sum() <= 8
+
+
 def test_nearest_neighbours(spark):
     rng = np.random.default_rng(2)
     x = rng.normal(size=(900, 16)).astype(np.float32)
