@@ -6,6 +6,7 @@ A set is a DataFrame (id, val); val is what the judge sees and what a result rep
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import replace
 
 from pyspark.sql import Column, DataFrame
@@ -43,16 +44,20 @@ def round_robin(df: DataFrame, judge: Judge, want: str = "max", seed: int = 7, g
     return _extremum(scores.round_robin(df, _directed(judge, want), grid), n, n * (n - 1) // 2, seed)
 
 
-def array_bracket(heat: Column, judge: Judge) -> Column:
-    """Winner of a knockout in an array of (pos, id, val) in this order; an odd one out goes on unopposed."""
+def array_bracket(heat: Column, judge: Judge, beats: Callable[[Column, Column], Column] | None = None) -> Column:
+    """Winner of a knockout in an array of (pos, id, val) in this order; an odd one out goes on unopposed.
+
+    beats(b, a), if given, compares two entries in place of a question to the judge.
+    """
     side = lambda x: item(x["id"], x["val"])
+    above = beats or (lambda b, a: judge.beats(side(b), side(a)))
 
     def level(entries: Column, _: Column) -> Column:
         last = F.floor((F.size(entries) + 1) / 2).cast("int") - 1
 
         def match(i: Column) -> Column:
             a, b = F.get(entries, i * 2), F.get(entries, i * 2 + 1)
-            return F.when(b.isNull(), a).when(judge.beats(side(b), side(a)), b).otherwise(a)
+            return F.when(b.isNull(), a).when(above(b, a), b).otherwise(a)
 
         return F.transform(F.sequence(F.lit(0), last), match)
 

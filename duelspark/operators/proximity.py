@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.metrics import Metric
-from . import extremum, scores
+from . import extremum, sampling, scores
 from .judges import Judge
 from .kcenter import as_literal
 from .votes import anchored_vote
@@ -48,13 +49,19 @@ def anchored_scores(df: DataFrame, query_id: int, anchors: list, metric: Metric,
 
 
 def farthest_coin_anchored(df: DataFrame, query_id: int, anchors: list, metric: Metric, judge: Judge, share: float = 0.5, seed: int = 7, t: int = 1, want: str = "max") -> DataFrame:
-    """At least the largest distance less 6 alpha, if all anchors are within alpha: the finalists of the robust maximum, compared by votes.
+    """At least the largest distance less 6 alpha, if all anchors are within alpha: a sample and the winners of heats meet in a round robin.
 
-    The heats and the sample thin the field as in the band method; the vote of the anchors decides among the finalists.
+    Every comparison, in the heats too, is a vote of the anchors; no question is asked alone.
     """
     measured = distances(df, query_id, metric)
     n = measured.count()
-    pool = extremum.finalists(measured, judge if want == "max" else judge.reversed(), n, t, max(1, int(n**0.5)), seed)
+    stars = as_literal(anchors)
+    nearer = lambda x, y: anchored_vote(F.struct(x["id"].alias("id"), x["val"].alias("payload")), F.struct(y["id"].alias("id"), y["val"].alias("payload")), stars, judge, metric, share)
+    beats = (lambda x, y: ~nearer(x, y)) if want == "max" else nearer
+    rows = df.where(F.col("id") != query_id).select("id", F.col("payload").alias("val"))
+    dealt = sampling.deal_heats(rows, max(1, int(n**0.5)), t, seed).groupBy("round", "heat").agg(F.array_sort(F.collect_list(F.struct("pos", "id", "val"))).alias("entries"))
+    winners = dealt.select(extremum.array_bracket(F.col("entries"), judge, beats)["id"].alias("id"))
+    pool = sampling.draw(measured, math.ceil(math.sqrt(n)) * t, n, seed).select("id").unionByName(winners).distinct()
     few = df.join(F.broadcast(pool.select("id")), "id", "left_semi")
     scored = anchored_scores(few, query_id, anchors, metric, judge, share, want).join(measured, "id")
     return scores.pick(scored, seed).select(F.col("id").alias("winner_id"), F.col("val").alias("winner_val"), F.col("wins").alias("win_score"))

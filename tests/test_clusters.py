@@ -72,6 +72,16 @@ def test_farthest_and_nearest(spark):
     assert proximity.nearest_coin(df, 0, metrics.euclid, Judge.exact()).first()["winner_val"] == gaps.agg(F.min("val")).first()[0]
 
 
+def test_anchors_vote_in_the_heats(spark):
+    """6 alpha is 12 and all but one record are 4000 short of the farthest one."""
+    rows = [(i, i % 3) for i in range(41)] + [(i, 1000 + i % 7) for i in range(100, 700)] + [(900, 5000)]
+    df = spark.createDataFrame(rows, "id long, payload long")
+    anchors = df.where("id BETWEEN 1 AND 40").collect()
+    for seed in range(4):
+        found = proximity.farthest_coin_anchored(df.where("id = 0 OR id > 40"), 0, anchors, metrics.gap, Judge.coin(0.3, seed=seed), seed=seed)
+        assert found.first()["winner_val"] >= 5000 - 12
+
+
 def test_exact_hierarchies_against_a_plain_version():
     values = random.Random(5).sample(range(1_000_000), 24)
     for link, pick in (("single", min), ("complete", max)):
