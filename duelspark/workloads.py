@@ -804,11 +804,17 @@ def linkage_complete_band(spark, sf_dir):
 
 @query("SELECT CAST(count(DISTINCT label) - 1 AS BIGINT) AS merges, CAST(count(*) AS BIGINT) AS last_size FROM embeddings")
 def linkage_groups_coin(spark, sf_dir):
-    """A hierarchy over given groups of small diameter, compared by votes of their members under coin noise."""
+    """A hierarchy over given groups of small diameter, compared by votes of their cores under coin noise."""
     merges = linkage.over_groups(tables.planted(spark, sf_dir), "truth", linkage.planted(4.0), Judge.coin(0.2, seed=SEED))
     return merges.agg(F.count("*").alias("merges"), F.max("size").alias("last_size"))
 
 
+@query()
+def linkage_groups_coin_merges(spark, sf_dir):
+    """The merges of the hierarchy over given groups."""
+    return linkage.over_groups(tables.planted(spark, sf_dir), "truth", linkage.planted(4.0), Judge.coin(0.2, seed=SEED))
+
+
 @query("SELECT CAST(count(*) - 1 AS BIGINT) AS merges FROM customer")
 def linkage_blocked(spark, sf_dir):
     """Hierarchies inside nations and one over their medoids merge all customers."""

@@ -117,3 +117,12 @@ def test_same_cluster_questions(spark):
 
 def test_bounds():
     assert math.isclose(measures.kcenter_bound(0.0), 2.0) and measures.cost(540) == 32.4
+
+
+def test_group_votes_use_more_than_the_first_members(spark):
+    """The first six ids of group 0 lie beyond group 2; the others say that groups 0 and 1 are the nearest."""
+    rows = [(i, [400.0 if i < 6 else float(i % 9)], 0) for i in range(60)] + [(i, [90.0 + i % 9], 1) for i in range(100, 160)] + [(i, [300.0 + i % 9], 2) for i in range(200, 203)]
+    df = spark.createDataFrame(rows, "id long, payload array<double>, truth int")
+    for judge in (Judge.exact(), Judge.coin(0.2)):
+        first = linkage.over_groups(df, "truth", linkage.euclid, judge).where("step = 1").first()
+        assert {first["left_id"], first["right_id"]} == {0, 100} and first["size"] == 120
