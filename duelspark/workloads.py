@@ -747,11 +747,11 @@ def sweep_assign_exact(spark, sf_dir):
     df = tables.planted(spark, sf_dir)
     metric = metrics.planted(4.0)
     first = df.groupBy("truth").agg(F.min("id").alias("id")).orderBy("id")
-    centers = df.join(first.select("id"), "id").orderBy("id").select("id", "payload", "truth").collect()[:4]
-    cores = [[c, *df.where((F.col("truth") == c["truth"]) & (F.col("id") != c["id"])).orderBy("id").limit(3).select("id", "payload").collect()] for c in centers]
-    rest = df.where(F.col("truth").isin([c["truth"] for c in centers]))
+    centers = df.join(first.select("id"), "id").orderBy("id").select("id", "payload", "truth").collect()
+    size = kcenter.core_size(df.count(), DELTA)
+    cores = [kcenter.extract_core(df.where(F.col("truth") == c["truth"]), c, metric, Judge.exact(), size, SEED) for c in centers]
     label = F.array(*(F.lit(c["truth"]) for c in centers))
-    swept = kcenter.sweep_assign(rest, centers, cores, metric, Judge.exact()).join(rest.select("id", "truth"), "id")
+    swept = kcenter.sweep_assign(df, centers, cores, metric, Judge.exact()).join(df.select("id", "truth"), "id")
     return held(swept, F.get(label, F.col("cur")) == F.col("truth"))
 
 
@@ -845,7 +845,7 @@ def anchored_asymmetry(spark, sf_dir):
     joined = df.join(gaps, "id").select(F.struct("id", "payload").alias("x"), "val", "truth")
     near = joined.where(F.col("val") < 2_000_000)
     far = joined.where(F.col("val") >= 3_000_000).withColumnsRenamed({"x": "y", "val": "other", "truth": "t2"})
-    both = near.join(far, F.pmod(F.col("x.id"), F.lit(7)) == F.pmod(F.col("y.id"), F.lit(7)))
+    both = near.crossJoin(F.broadcast(far))
     judge = Judge.coin(p, seed=SEED)
     yes = lambda a, b: votes.anchored_yes(F.col(a), F.col(b), anchors, judge, metric)
     counted = both.select(yes("x", "y").alias("n"), yes("y", "x").alias("m"))

@@ -3,6 +3,7 @@ import random
 
 from pyspark.sql import functions as F
 
+from duelspark import workloads
 from duelspark.functions import metrics
 from duelspark.operators import baselines, kcenter, linkage, measures, proximity, votes
 from duelspark.operators.judges import Judge
@@ -126,3 +127,18 @@ def test_group_votes_use_more_than_the_first_members(spark):
     for judge in (Judge.exact(), Judge.coin(0.2)):
         first = linkage.over_groups(df, "truth", linkage.euclid, judge).where("step = 1").first()
         assert {first["left_id"], first["right_id"]} == {0, 100} and first["size"] == 120
+
+
+def test_planted_queries_use_the_whole_table(spark, monkeypatch):
+    """Every record is swept over all ten centers, and every near record meets every far one."""
+    sf, seen, pairs, plain = "/root/testdata/sf0.001", [], [], kcenter.sweep_assign
+    plain = kcenter.sweep_assign
+    monkeypatch.setattr(kcenter, "sweep_assign", lambda rest, centers, *more: seen.append((rest.count(), len(centers))) or plain(rest, centers, *more))
+    assert workloads.sweep_assign_exact(spark, sf).first()["held"] and seen == [(500, 10)]
+    df = workloads.tables.planted(spark, sf)
+    gaps = proximity.distances(df, 0, metrics.planted(4.0))
+    want = gaps.where("val < 2000000").count() * gaps.where("val >= 3000000").count()
+    real = workloads.F.avg
+    monkeypatch.setattr(workloads.votes, "anchored_yes", lambda *a: F.lit(1))
+    monkeypatch.setattr(workloads.F, "avg", lambda c: pairs.append(1) or F.count("*") if len(pairs) == 0 else real(c))
+    assert workloads.anchored_asymmetry(spark, sf).collect()[0]["nearer_first"] == want
