@@ -533,10 +533,7 @@ def linkage_methods(spark, sf_dir):
     judge, out = Judge.band(0.5, seed=SEED), None
     for link in ("single", "complete"):
         exact = baselines.linkage_exact(df, linkage.line, link)
-        runs = {"ours": linkage.hierarchy(df, linkage.line, judge, link)}
-        if link == "single":
-            runs["sampler"] = baselines.linkage_sampled(df, linkage.line, judge, link)
-            runs["knockout"] = baselines.linkage_knockout(df, linkage.line, judge, link)
+        runs = {"ours": linkage.hierarchy(df, linkage.line, judge, link), "sampler": baselines.linkage_sampled(df, linkage.line, judge, link), "knockout": baselines.linkage_knockout(df, linkage.line, judge, link)}
         for name, found in runs.items():
             row = measures.merge_ratio(found, exact).crossJoin(found.agg(F.max("questions").alias("questions"))).select(F.lit(link).alias("link"), F.lit(name).alias("method"), "ratio", "questions")
             out = row if out is None else out.unionByName(row)

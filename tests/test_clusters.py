@@ -132,7 +132,6 @@ def test_group_votes_use_more_than_the_first_members(spark):
 def test_planted_queries_use_the_whole_table(spark, monkeypatch):
     """Every record is swept over all ten centers, and every near record meets every far one."""
     sf, seen, pairs, plain = "/root/testdata/sf0.001", [], [], kcenter.sweep_assign
-    plain = kcenter.sweep_assign
     monkeypatch.setattr(kcenter, "sweep_assign", lambda rest, centers, *more: seen.append((rest.count(), len(centers))) or plain(rest, centers, *more))
     assert workloads.sweep_assign_exact(spark, sf).first()["held"] and seen == [(500, 10)]
     df = workloads.tables.planted(spark, sf)
@@ -142,3 +141,8 @@ def test_planted_queries_use_the_whole_table(spark, monkeypatch):
     monkeypatch.setattr(workloads.votes, "anchored_yes", lambda *a: F.lit(1))
     monkeypatch.setattr(workloads.F, "avg", lambda c: pairs.append(1) or F.count("*") if len(pairs) == 0 else real(c))
     assert workloads.anchored_asymmetry(spark, sf).collect()[0]["nearer_first"] == want
+
+
+def test_both_linkages_have_both_baselines(spark):
+    got = {(r["link"], r["method"]) for r in workloads.linkage_methods(spark, "/root/testdata/sf0.001").collect()}
+    assert got == {(link, method) for link in ("single", "complete") for method in ("ours", "sampler", "knockout")}
