@@ -1,20 +1,25 @@
 """Byte-level BPE: ranked merges as Spark higher-order functions.
 
-A word is an array of the ids of its bytes. A fold over it keeps the ids and the rank of every neighbouring pair; each step joins
-the leftmost pair of the lowest rank and looks up the two pairs this makes. Ranks are looked up in a literal map: the sparse matrix of
-pairs is packed into one literal array, each left id's row shifted by an offset so that no two entries meet; a look-up reads
-one offset and one entry however large the vocabulary.
-
-Words repeat, so distinct words are encoded once: all words of the corpus are counted, the most frequent ones (at most
-`remembered`, a fixed bound) are encoded by the fold, and their ids are broadcast. What remains in a document, its distinct
-rarer words, is encoded by the same fold in the document's own row. The bound decides only where a word is encoded, never how.
+A word is an array of one long for each of its bytes, between a start and an end mark: the id, and above it the rank of the pair
+that it opens. A fold joins, in each step, the leftmost pair of the lowest rank and looks up the two pairs this makes. Ranks are
+looked up in a literal map: the sparse matrix of pairs is packed into one array, each left id's row shifted by an offset so that
+no two entries meet; a look-up reads one offset and one entry however large the vocabulary. The map stands in the plan as
+text and becomes arrays once for every thousands of words: as an array literal its boxed numbers would be read by every task.
+
+Words repeat, so distinct words are encoded once in a block of documents: a block ends where it has `distinct` words that are not
+remembered (or 4 million words in all), and a document is in one block. One narrow plan does it, without a shuffle: a Python
+step cuts texts and numbers the words of a block, the fold encodes the words, a second Python step puts ids in the place of
+numbers, and decodes. It relies on the order of rows in a partition, which projections keep: words first, then their documents.
+Words that are frequent in a sample of about `sampled` documents (at most `remembered` words, a fixed bound) are encoded before, and
+broadcast. Sample and bounds decide only where a word is encoded, never how; a task's memory holds one block.
 Words longer than `longest` bytes, for which a fold of quadratic cost would not do, are merged with a heap instead; the result
 is the same (the tests hold one against the other).
 
 Decoding concatenates the binary pieces of the ids.
 
 Defined results: null is as the empty text and has no ids; every id list decodes to the text's own UTF-8 bytes. Rows are worked
-on by themselves, so repeated ids are no matter. The vocabulary file is a parameter, read on the driver.
+on by themselves, so repeated ids are no matter, and a null id stays null. Other columns are not read. An empty table gives an
+empty result. The vocabulary file is a parameter, read on the driver.
 """
 
 from __future__ import annotations
@@ -26,6 +31,7 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -34,11 +40,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import slices
+from .common import materialise, slices, unmaterialise
 
-NEVER = 1 << 30  # rank of a pair that is no token
+NEVER = 1 << 17  # rank of a pair that is no token
 EMPTY = -1  # as an unsigned number its left id is 65,535, which no vocabulary here has
-RARE = 0x80000000
+CHUNK = 50_000  # words that one row holds for the fold
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
 
@@ -61,24 +67,38 @@ class Vocabulary:
                 if left is not None and right is not None:
                     yield left, right, rank
 
-    def packed(self) -> tuple[list[int], list[int]]:
-        """Offset of each left id's row, and the entries: at offset[left] + right stands left * 65536 + rank, as a signed 32-bit integer."""
-        rows: dict[int, list[tuple[int, int]]] = {}
+    def packed(self) -> tuple[np.ndarray, np.ndarray]:
+        """Offset of each left id's row, and the entries: at offset[left] + right stands left * 65536 + rank, as a signed 32-bit integer.
+
+        Two more ids mark the start and the end of a word; they open and close no pair.
+        """
+        rows: dict[int, list[int]] = {}
         for left, right, rank in self.pairs():
-            rows.setdefault(left, []).append((right, rank))
+            rows.setdefault(left, []).append(right << 16 | rank)
         width = max(self.ranks.values(), default=0) + 1
-        if width > 65_535:
+        if width > 65_533:
             raise ValueError("ids must fit 16 bits")
-        offsets, slots = [0] * width, np.full(8 * width + 4096, EMPTY, np.int32)
-        hint: dict[int, int] = {}
-        for left in sorted(rows, key=lambda x: (-len(rows[x]), x)):
-            rights = np.array([r for r, _ in rows[left]])
+        offsets, free = np.zeros(width + 2, np.int64), np.ones(8 * width + 4096, bool)
+        slots, hint = np.full(len(free), EMPTY, np.int32), {}
+
+        def place(left: int, at: int) -> None:
+            rights = np.array(rows[left]) >> 16
+            offsets[left], free[at + rights] = at, False
+            slots[at + rights] = ((left << 16) + (np.array(rows[left]) & 65_535)).astype(np.uint32).view(np.int32)
+
+        for left in sorted((x for x in rows if len(rows[x]) > 1), key=lambda x: (-len(rows[x]), x)):
+            rights = np.array(rows[left]) >> 16
             at = hint.get(len(rights), 0)  # rows of one length are placed from where the last one went
-            while not (fits := ~(slots[np.arange(at, at + 1024)[:, None] + rights] != EMPTY).any(axis=1)).any():
-                at += 1024
-            offsets[left] = hint[len(rights)] = at = at + int(fits.argmax())
-            slots[at + rights] = np.array([(left << 16) + rank for _, rank in rows[left]], np.int64).astype(np.uint32).view(np.int32)
-        return offsets, slots[: int(np.flatnonzero(slots != EMPTY).max(initial=0)) + width + 1].tolist()
+            while not (fits := np.logical_and.reduce([free[at + r : at + r + 256] for r in rights])).any():
+                at += 256
+            hint[len(rights)] = at = at + int(fits.argmax())
+            place(left, at)
+        holes, k = np.flatnonzero(free), 0
+        for right, left in sorted((rows[x][0] >> 16, x) for x in rows if len(rows[x]) == 1):
+            k += int(np.searchsorted(holes[k:], right))
+            place(left, int(holes[k]) - right)
+            k += 1
+        return offsets, slots[: int(offsets.max()) + width + 3]
 
     def pieces(self) -> list[bytes]:
         found = [b""] * (max(self.ranks.values(), default=-1) + 1)
@@ -117,9 +137,9 @@ class Vocabulary:
         return [ranks[word[i : ends[i]]] for i in range(n) if not gone[i]]
 
 
-def literal(values: list[int], kind: str) -> Column:
-    """A constant array; the optimiser folds the expression into a literal once."""
-    return F.split(F.lit(",".join(map(str, values))), ",").cast(f"array<{kind}>")
+def literal(values: np.ndarray, fresh: Column) -> Column:
+    """A constant array of integers, read from its text; `fresh`, an empty text of the row, keeps it a text in the plan."""
+    return F.split(F.concat(F.lit(",".join(map(str, values.tolist()))), fresh), ",").cast("array<int>")
 
 
 def let(value: Column, body) -> Column:
@@ -127,49 +147,71 @@ def let(value: Column, body) -> Column:
     return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
-def encoder(vocabulary: Vocabulary):
-    """A function from a column of words to a column of arrays of ids."""
-    offsets, entries = vocabulary.packed()
-    # one literal, bound once: were it repeated in the expression, every task would read each repetition
-    tables = F.struct(literal(offsets, "int").alias("offsets"), literal(entries, "int").alias("entries"), literal([vocabulary.ranks[bytes([b])] for b in range(256)], "int").alias("bytes"))
-    nothing = F.array().cast("array<int>")
-
-    def with_tables(t: Column, word: Column) -> Column:
-        def rank(left: Column, right: Column) -> Column:
-            def known(entry: Column) -> Column:
-                return F.when(F.shiftrightunsigned(entry, 16) == left, entry.bitwiseAND(F.lit(65_535))).otherwise(NEVER)
-
-            return let(F.get(t["entries"], F.get(t["offsets"], left) + right), known)
-
-        def step(state: Column, _: Column) -> Column:
-            ids, ranks = state["ids"], state["ranks"]
-
-            def joined(at: Column) -> Column:
-                new = F.get(ranks, at - 1)
-                before = F.when(at > 1, F.array(rank(F.get(ids, at - 2), new))).otherwise(nothing)
-                after = F.when(at < F.size(ranks), F.array(rank(new, F.get(ids, at + 1)))).otherwise(nothing)
-                return F.struct(
-                    F.concat(F.slice(ids, 1, at - 1), F.array(new), F.slice(ids, at + 2, F.size(ids))).alias("ids"),
-                    F.concat(F.slice(ranks, 1, F.greatest(at - 2, F.lit(0))), before, after, F.slice(ranks, at + 2, F.size(ranks))).alias("ranks"),
-                )
-
-            # position 0 where no pair is left, and then there is no rank before it
-            return let(F.array_position(ranks, F.array_min(ranks)).cast("int"), lambda at: F.when(F.get(ranks, at - 1) < NEVER, joined(at)).otherwise(state))
-
-        def fold(ids: Column) -> Column:
-            n = F.size(ids)
-            ranks = F.transform(F.sequence(F.lit(0), n - 2), lambda i: rank(F.get(ids, i), F.get(ids, i + 1)))
-            start = F.struct(ids.alias("ids"), ranks.alias("ranks"))
-            return F.when(n < 2, ids).otherwise(F.aggregate(F.sequence(F.lit(2), n), start, step, lambda s: s["ids"]))
-
-        # Latin-1 has one character for each byte
-        ids = F.transform(F.split(F.decode(word.cast("binary"), "ISO-8859-1"), ""), lambda c: F.get(t["bytes"], F.ascii(c)))
-        return let(F.filter(ids, lambda i: i.isNotNull()), fold)
+@dataclass(frozen=True)
+class Merger:
+    """The packed map, for arrays of numpy and for columns."""
 
-    def encode(word: Column) -> Column:
-        return F.when(F.octet_length(word) == 0, nothing).otherwise(let(tables, lambda t: with_tables(t, word)))
+    bytes: np.ndarray
+    offsets: np.ndarray
+    entries: np.ndarray
 
-    return encode
+    @classmethod
+    def of(cls, vocabulary: Vocabulary) -> Merger:
+        return cls(np.array([vocabulary.ranks[bytes([b])] for b in range(256)], np.int64), *vocabulary.packed())
+
+    @property
+    def marks(self) -> tuple[int, int]:
+        return len(self.offsets) - 2, len(self.offsets) - 1
+
+    def opened(self, words: list[bytes], longest: int, heap) -> pa.ListArray:
+        """The arrays that the fold begins with; those of longer words, merged by heap(word), are as it would end."""
+        start, end = self.marks
+        done = {k: heap(w) for k, w in enumerate(words) if len(w) > longest}
+        ids = [np.asarray(done[k], np.int64) if k in done else self.bytes[np.frombuffer(w, np.uint8)] for k, w in enumerate(words)] if done else None
+        lengths = np.array([len(x) for x in ids or words], np.int64) + 2
+        ends = np.cumsum(lengths)
+        flat = np.full(int(ends[-1]) if len(ends) else 0, end, np.int64)
+        flat[ends - lengths] = start
+        inner = np.ones(len(flat), bool)
+        inner[ends - lengths] = inner[ends - 1] = False
+        flat[inner] = np.concatenate(ids) if ids else self.bytes[np.frombuffer(b"".join(words), np.uint8)]
+        found = self.entries[self.offsets[flat[:-1]] + flat[1:]].astype(np.int64)
+        packed = np.append((((found ^ (flat[:-1] << 16)) & 0xFFFFFFFF) << 16) | flat[:-1], 0) if len(flat) else flat
+        closed = ends - 1
+        if done:
+            closed = np.concatenate([closed, *(np.arange(ends[k] - lengths[k], ends[k]) for k in done)])
+        packed[closed] = NEVER << 16 | flat[closed]
+        return pa.ListArray.from_arrays(pa.array(np.append(0, ends).astype(np.int32)), pa.array(packed))
+
+    @staticmethod
+    def ids(words: pa.ListArray) -> tuple[np.ndarray, np.ndarray]:
+        """All ids, and how many each word has."""
+        lengths, flat = words.value_lengths().to_numpy(), words.flatten().to_numpy()
+        ends, inner = np.cumsum(lengths), np.ones(len(flat), bool)
+        inner[ends - lengths] = inner[ends - 1] = False
+        return (flat[inner] & 65_535).astype(np.uint32), lengths.astype(np.int64) - 2
+
+    def fold(self, words: Column, fresh: Column) -> Column:
+        """Merges every word of an array of opened words."""
+        low, least = F.lit(65_535).cast("bigint"), F.lit(1 << 32).cast("bigint")
+
+        def with_tables(t: Column) -> Column:
+            def opens(left: Column, right: Column) -> Column:
+                # an entry of the same left id leaves its rank, any other at least 65,536
+                found = F.get(t["entries"], F.get(t["offsets"], left) + right).bitwiseXOR(F.shiftleft(left, 16))
+                return F.shiftleft(found.bitwiseAND(F.lit(0xFFFFFFFF).cast("bigint")), 16).bitwiseOR(left)
+
+            def step(word: Column, _: Column) -> Column:
+                def joined(lowest: Column) -> Column:  # the rank, which is the new id, and the position
+                    at, new = lowest.bitwiseAND(low).cast("int"), F.shiftright(lowest, 16)
+                    made = F.array(opens(F.get(word, at - 1).bitwiseAND(low), new), opens(new, F.get(word, at + 2).bitwiseAND(low)))
+                    return F.when(lowest < least, F.flatten(F.array(F.slice(word, 1, at - 1), made, F.slice(word, at + 3, F.size(word))))).otherwise(word)
+
+                return let(F.array_min(F.transform(word, lambda x, i: x.bitwiseAND(F.lit(-65_536).cast("bigint")).bitwiseOR(i))), joined)
+
+            return F.transform(words, lambda word: F.when(F.array_min(word) < least, F.aggregate(F.sequence(F.lit(4), F.size(word)), word, step)).otherwise(word))
+
+        return let(F.struct(literal(self.offsets, fresh).alias("offsets"), literal(self.entries, fresh).alias("entries")), with_tables)
 
 
 class Splitter:
@@ -226,80 +268,117 @@ def frequent_words(counts: DataFrame, remembered: int) -> DataFrame:
     return counts.where(level >= least)
 
 
-def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 200_000, longest: int = 256, decoded: bool = False) -> DataFrame:
+class Numbers(dict):
+    """Numbers words in the order in which they are asked for."""
+
+    def __missing__(self, word: str) -> int:
+        self[word] = number = len(self)
+        return number
+
+
+def remember(documents: DataFrame, vocabulary: Vocabulary, merger: Merger, pattern: str, remembered: int, sampled: int, longest: int) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """The words, at most so many, that are frequent in a sample; all their ids, and how many each has."""
+    n = documents.count() if remembered else 0
+    if not n:
+        return [], np.zeros(0, np.uint32), np.zeros(0, np.int64)
+    counts = materialise(word_counts(documents.sample(min(1.0, sampled / n), 7), pattern), "words")
+    opened = lambda words: merger.opened([w.encode() for w in words], longest, vocabulary.merge)
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            words = batch.column(0)
+            whole = lambda column: pa.ListArray.from_arrays(pa.array([0, len(words)], pa.int32()), column)
+            if len(words):
+                yield pa.RecordBatch.from_arrays([whole(words), whole(opened(words.to_pylist())), pa.array([""])], names=["word", "opened", "fresh"])
+
+    many = frequent_words(counts, remembered).select("word").mapInArrow(rows, "word array<string>, opened array<array<bigint>>, fresh string")
+    found = many.select("word", merger.fold(F.col("opened"), F.col("fresh")).alias("ids")).toArrow()
+    unmaterialise(counts)
+    ids = [merger.ids(chunk.flatten()) for chunk in found.column(1).chunks]
+    words = [w for chunk in found.column(0).chunks for w in chunk.flatten().to_pylist()]
+    return words, *(np.concatenate([x[k] for x in ids]) if ids else np.zeros(0, (np.uint32, np.int64)[k]) for k in (0, 1))
+
+
+def spread(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """flat[starts[i] : starts[i] + lengths[i]] for every i of `of`, end to end, and where each ends."""
+    n = lengths[of]
+    ends = np.cumsum(n)
+    return flat[np.repeat(starts[of] - (ends - n), n) + np.arange(int(ends[-1]) if len(ends) else 0)], ends
+
+
+def binaries(data: np.ndarray, ends: np.ndarray) -> pa.Array:
+    """Binary values that stand end to end in data."""
+    return pa.Array.from_buffers(pa.binary(), len(ends), [None, pa.py_buffer(np.append(0, ends).astype(np.int32)), pa.py_buffer(np.ascontiguousarray(data))])
+
+
+def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 200_000, sampled: int = 8_000, distinct: int = 200_000, longest: int = 256, decoded: bool = False) -> DataFrame:
     """doc_id and ids (little-endian unsigned 32-bit integers as bytes) of every text, and with `decoded` the bytes that these decode to."""
-    spark, fold = documents.sparkSession, encoder(vocabulary)
-    words = frequent_words(word_counts(documents, pattern), remembered)
-    partitions = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    known = words.select("word").repartition(partitions).select("word", fold(F.col("word")).alias("ids")).toArrow()
-    # sent as one block of Arrow bytes: the driver never holds a dictionary of the words
-    sink = pa.BufferOutputStream()
-    with pa.ipc.new_stream(sink, known.schema) as stream:
-        stream.write_table(known, max_chunksize=10_000)
-    block = sink.getvalue().to_pybytes()
-    del known, sink
-    shared, pieces = spark.sparkContext.broadcast((block, vocabulary)), spark.sparkContext.broadcast(vocabulary.pieces() if decoded else [])
-    del block
-
-    def look_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        block, vocabulary = shared.value
-        split, get = Splitter(pattern), remembered_ids(block).get
-        for batch in slices(batches):
-            codes, rare = [], []
-            for text in batch.column(1):
-                words = split(text.as_py())
-                found = [*map(get, words)]
-                own: dict[str, int] = {}
-                if None in found:
-                    for i, ids in enumerate(found):
-                        if ids is None:
-                            word = words[i]
-                            if len(word) > longest:
-                                found[i] = np.asarray(vocabulary.merge(word.encode()), "<u4").tobytes()
-                            else:
-                                found[i] = (RARE | own.setdefault(word, len(own))).to_bytes(4, "little")
-                codes.append(b"".join(found))
-                rare.append([*own])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(codes, pa.binary()), pa.array(rare, pa.list_(pa.string()))], names=["doc_id", "codes", "rare"])
-
-    def fill_in(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        piece = pieces.value.__getitem__
-        for batch in slices(batches):
-            out = []
-            for codes, rare in zip(batch.column(1), batch.column(2), strict=True):
-                codes, rare = codes.as_py(), rare.values
-                if len(rare):
-                    ids, flat, starts = np.frombuffer(codes, "<u4"), rare.values.to_numpy(), rare.offsets.to_numpy()
-                    is_rare = ids >= RARE
-                    which = np.where(is_rare, ids & ~np.uint32(RARE), 0).astype(np.int64)
-                    lengths = np.where(is_rare, np.diff(starts)[which], 1)
-                    ends = np.cumsum(lengths)
-                    within = np.arange(ends[-1]) - np.repeat(ends - lengths, lengths)
-                    source = np.repeat(np.where(is_rare, starts[:-1][which], 0), lengths) + within
-                    spread = np.repeat(is_rare, lengths)
-                    new = np.repeat(ids, lengths)
-                    new[spread] = flat[source[spread]]
-                    codes = new.astype("<u4").tobytes()
-                out.append(codes)
-            columns = [batch.column(0), pa.array(out, pa.binary())]
-            if decoded:
-                columns.append(pa.array([b"".join(map(piece, np.frombuffer(ids, "<u4").tolist())) for ids in out], pa.binary()))
-            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "ids", "decoded"][: len(columns)])
-
-    looked = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(look_up, "doc_id long, codes binary, rare array<string>")
-    folded = looked.select("doc_id", "codes", F.transform("rare", fold).alias("rare"))
-    # one worker fills in and decodes: every Python step of a plan has a process of its own
-    return folded.mapInArrow(fill_in, "doc_id long, ids binary" + ", decoded binary" * decoded)
-
-
-def remembered_ids(block: bytes) -> dict[str, bytes]:
-    """Words and their ids from Arrow bytes (word, ids). Made for each task, so that idle workers hold none."""
-    found: dict[str, bytes] = {}
-    for part in pa.ipc.open_stream(block):
-        ids = part.column(1)
-        flat, starts = ids.values.to_numpy(), ids.offsets.to_numpy()
-        found.update((w, flat[i:j].astype("<u4").tobytes()) for w, i, j in zip(part.column(0).to_pylist(), starts, starts[1:], strict=False))
-    return found
+    sc, merger = documents.sparkSession.sparkContext, Merger.of(vocabulary)
+    words, known, lengths = remember(documents, vocabulary, merger, pattern, remembered, sampled, longest)
+    before = sc.broadcast((pa.array(words, pa.string()), vocabulary, merger))
+    after = sc.broadcast((known, lengths, vocabulary.pieces() if decoded else []))
+    del words, known, lengths
+    row = pa.schema([("doc_id", pa.int64()), ("numbers", pa.binary()), ("words", pa.list_(pa.list_(pa.int64()))), ("fresh", pa.string())])
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        remembered, vocabulary, merger = before.value
+        split, common = Splitter(pattern), dict(zip(remembered.to_pylist(), range(len(remembered)), strict=True))
+        numbers, ids, texts, total = Numbers(common), [], [], 0
+
+        def block() -> Iterator[pa.RecordBatch]:
+            new = [*islice(numbers, len(common), None)]
+            for k in range(0, max(len(new), 1), CHUNK):
+                opened = merger.opened([w.encode() for w in new[k : k + CHUNK]], longest, vocabulary.merge)
+                words = pa.ListArray.from_arrays(pa.array([0, len(opened)], pa.int32()), opened)
+                yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.binary()), words, pa.array([""])], schema=row)
+            for k in range(0, len(ids), 500):
+                part = ids[k : k + 500]
+                yield pa.RecordBatch.from_arrays([pa.array(part, pa.int64()), pa.array(texts[k : k + 500], pa.binary()), pa.nulls(len(part), row.field(2).type), pa.nulls(len(part), pa.string())], schema=row)
+
+        for batch in batches:
+            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                found = split(text.as_py())
+                ids.append(doc_id)
+                texts.append(np.fromiter(map(numbers.__getitem__, found), "<u4", len(found)).tobytes())
+                total += len(found)
+                if len(numbers) - len(common) >= distinct or total >= 4_000_000:
+                    yield from block()
+                    numbers, ids, texts, total = Numbers(common), [], [], 0
+        if ids:
+            yield from block()
+        pa.default_memory_pool().release_unused()
+
+    def put(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, lengths, pieces = after.value
+        piece_bytes, piece_lengths = np.frombuffer(b"".join(pieces), np.uint8), np.array([len(p) for p in pieces], np.int64)
+        piece_starts, parts, table = np.cumsum(piece_lengths) - piece_lengths, [(known, lengths)], None
+        for batch in batches:
+            opens = np.asarray(batch.column(2).is_valid())
+            turns = [0, *(np.flatnonzero(opens[1:] != opens[:-1]) + 1).tolist(), len(opens)]
+            for i, j in zip(turns, turns[1:], strict=False):
+                if j > i and opens[i]:
+                    if table is not None:
+                        parts, table = [(known, lengths)], None
+                    parts.append(Merger.ids(batch.column(2).slice(i, j - i).flatten()))
+                    continue
+                if j > i and table is None:
+                    flat, each = (np.concatenate([p[k] for p in parts]) for k in (0, 1))
+                    table, parts = (flat, np.cumsum(each) - each, each), []
+                for k in range(i, j, 500):
+                    part = batch.slice(k, min(500, j - k))
+                    raw = part.column(1).to_pylist()
+                    ids, ends = spread(*table, np.frombuffer(b"".join(raw), "<u4"))
+                    ends = np.append(0, ends)[np.cumsum([len(x) // 4 for x in raw])]
+                    columns = [part.column(0), binaries(ids.astype("<u4"), 4 * ends)]
+                    if decoded:
+                        texts, ends_of = spread(piece_bytes, piece_starts, piece_lengths, ids)
+                        columns.append(binaries(texts, np.append(0, ends_of)[ends]))
+                    yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "ids", "decoded"][: len(columns)])
+        pa.default_memory_pool().release_unused()
+
+    numbered = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(cut, "doc_id long, numbers binary, words array<array<bigint>>, fresh string")
+    folded = numbered.select("doc_id", "numbers", F.when(F.col("words").isNotNull(), merger.fold(F.col("words"), F.col("fresh"))).alias("words"))
+    return folded.mapInArrow(put, "doc_id long, ids binary" + ", decoded binary" * decoded)
 
 
 def decode(encoded: DataFrame, vocabulary: Vocabulary, column: str = "ids") -> DataFrame:
