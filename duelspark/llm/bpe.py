@@ -45,6 +45,7 @@ from .common import materialise, slices, unmaterialise
 NEVER = 1 << 17  # rank of a pair that is no token
 EMPTY = -1  # as an unsigned number its left id is 65,535, which no vocabulary here has
 CHUNK = 50_000  # words that one row holds for the fold
+WINDOW = 4096  # offsets tried at once when the pairs are packed
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
 
@@ -78,7 +79,7 @@ class Vocabulary:
         width = max(self.ranks.values(), default=0) + 1
         if width > 65_533:
             raise ValueError("ids must fit 16 bits")
-        offsets, free = np.zeros(width + 2, np.int64), np.ones(8 * width + 4096, bool)
+        offsets, free = np.zeros(width + 2, np.int64), np.ones(8 * width + 4 * WINDOW, bool)
         slots, hint = np.full(len(free), EMPTY, np.int32), {}
 
         def place(left: int, at: int) -> None:
@@ -89,8 +90,8 @@ class Vocabulary:
         for left in sorted((x for x in rows if len(rows[x]) > 1), key=lambda x: (-len(rows[x]), x)):
             rights = np.array(rows[left]) >> 16
             at = hint.get(len(rights), 0)  # rows of one length are placed from where the last one went
-            while not (fits := np.logical_and.reduce([free[at + r : at + r + 256] for r in rights])).any():
-                at += 256
+            while not (fits := np.logical_and.reduce([free[at + r : at + r + WINDOW] for r in rights])).any():
+                at += WINDOW
             hint[len(rights)] = at = at + int(fits.argmax())
             place(left, at)
         holes, k = np.flatnonzero(free), 0
