@@ -7,8 +7,9 @@ broadcast: its size does not grow with the data. Scoring gathers each document's
 `piece` characters.
 
 Defined results: a null text, or one without a letter, is `und` with score 0; without any labelled document every text is
-`und`. The score is the posterior of the predicted language, with the evidence of a text counted as `evidence` n-grams at most
+`und`. The language is that of the largest posterior; the score is its posterior with the evidence of a text counted as `evidence` n-grams at most
 (n-grams are not independent, so raw posteriors would all be 0 or 1). Ties go to the language that sorts first.
+Repeated rows are judged alike, an empty table gives an empty result, and other columns are not read.
 """
 
 from __future__ import annotations
@@ -42,9 +43,8 @@ def letters() -> np.ndarray:
     return np.fromiter((chr(c).isalpha() for c in range(0x110000)), bool, 0x110000)
 
 
-def grams(texts: list[str], buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Feature of every n-gram of all texts (buckets where it has no letter), as an array of three orders, the offset of each text, and whether it has a letter."""
-    lowered = [t.lower() for t in texts]
+def grams(lowered: list[str], buckets: int, over: list[int] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Feature of every n-gram of all texts (buckets where it has no letter, or where it begins in the overlap at a text's end), as an array of three orders, the offset of each text, and whether it has a letter."""
     lengths = np.fromiter((len(t) + 2 for t in lowered), np.int64, len(lowered))
     points = np.frombuffer("".join(t + "  " for t in lowered).encode("utf-32-le", "surrogatepass"), np.uint32)
     offsets = np.concatenate(([0], np.cumsum(lengths)[:-1]))
@@ -62,26 +62,35 @@ def grams(texts: list[str], buckets: int) -> tuple[np.ndarray, np.ndarray, np.nd
     for row, mixed, has in zip(ids, (one, two, three), (alpha, has2, has2 | is_after[1:]), strict=True):
         mixed = (mixed ^ (mixed >> np.uint32(15))) * np.uint32(2246822519)
         row[:] = np.where(has, mixed >> shift, buckets)
+    for start, length, more in zip(offsets, lengths, over or [], strict=False):
+        if more:
+            ids[:, start + length - 2 - more : start + length] = buckets
     return ids, offsets, np.add.reduceat(alpha, offsets, dtype=np.int64) > 0
 
 
-def pieces(texts: list[str | None], size: int) -> Iterator[tuple[list[int], list[str]]]:
-    """Positions and texts in groups of about `size` characters; a longer text is cut so that no n-gram is lost but those over a cut."""
+def pieces(texts: list[str | None], size: int) -> Iterator[tuple[list[int], list[str], list[int]]]:
+    """Positions, lower-cased texts and overlaps in groups of about `size` characters.
+
+    A longer text is cut; a part holds two characters of the next one, whose n-grams count there, so none is lost or comes twice.
+    """
     group: list[str] = []
     at: list[int] = []
+    over: list[int] = []
     total = 0
     for i, text in enumerate(texts):
         if not text:
             continue
         for k in range(0, len(text), size):
-            group.append(text[k : k + size])
+            part, more = text[k : k + size].lower(), text[k + size : k + size + 2].lower()
+            group.append(part + more)
             at.append(i)
-            total += len(group[-1])
+            over.append(len(more))
+            total += len(part)
             if total >= size:
-                yield at, group
-                group, at, total = [], [], 0
+                yield at, group, over
+                group, at, over, total = [], [], [], 0
     if group:
-        yield at, group
+        yield at, group, over
 
 
 def held_out() -> Column:
@@ -102,8 +111,8 @@ def train(documents: DataFrame, buckets: int = 1 << 14, max_training: int = 20_0
             langs = batch.column(1).to_pylist()
             for lang in langs:
                 docs[lang] = docs.get(lang, 0) + 1
-            for at, group in pieces(batch.column(0).to_pylist(), piece):
-                ids, offsets, _ = grams(group, buckets)
+            for at, group, over in pieces(batch.column(0).to_pylist(), piece):
+                ids, offsets, _ = grams(group, buckets, over)
                 ends = np.append(offsets[1:], ids.shape[1])
                 for i, start, end in zip(at, offsets, ends, strict=True):
                     got = np.bincount(ids[:, start:end].ravel(), minlength=buckets + 1)
@@ -131,8 +140,8 @@ def predict(texts: list[str | None], model: Model, evidence: int = 64, piece: in
     n = len(texts)
     sums, used, lettered = np.zeros((n, len(model.languages))), np.zeros(n), np.zeros(n, bool)
     buckets = model.weights.shape[1] - 1
-    for at, group in pieces(texts, piece):
-        ids, offsets, has = grams(group, buckets)
+    for at, group, over in pieces(texts, piece):
+        ids, offsets, has = grams(group, buckets, over)
         at = np.asarray(at)
         np.logical_or.at(lettered, at, has)
         np.add.at(used, at, np.add.reduceat((ids != buckets).sum(axis=0), offsets))
@@ -143,10 +152,10 @@ def predict(texts: list[str | None], model: Model, evidence: int = 64, piece: in
             np.add.at(sums[:, k], at, np.add.reduceat(got, offsets))
     if not model.languages:
         return [UNKNOWN] * n, [0.0] * n
+    best = (sums + model.prior).argmax(axis=1)
     z = sums * np.minimum(1, evidence / np.maximum(1, used))[:, None] + model.prior
-    best = z.argmax(axis=1)
     p = np.exp(z - z.max(axis=1, keepdims=True))
-    score = np.round(p.max(axis=1) / p.sum(axis=1), 6)
+    score = np.round(p[np.arange(n), best] / p.sum(axis=1), 6)
     return [model.languages[b] if h else UNKNOWN for b, h in zip(best, lettered, strict=True)], [float(s) if h else 0.0 for s, h in zip(score, lettered, strict=True)]
 
 
