@@ -8,7 +8,8 @@ import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,9 +18,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or a temporary one where that is unset (tests)."""
+    """The folder all executors share: spark.checkpoint.dir. Only a session in one process may do without it; it takes a temporary one."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not (spark.sparkContext.master == "local" or spark.sparkContext.master.startswith("local[")):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = os.path.join(tempfile.gettempdir(), "duelspark-checkpoints")
         os.makedirs(found, exist_ok=True)
     return found.rstrip("/")
@@ -43,6 +46,24 @@ def unmaterialise(df: DataFrame) -> None:
             path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def join_hot(df: DataFrame, groups: DataFrame, keys: list[str], hot: DataFrame, spread: Column) -> DataFrame:
+    """df left-joined with groups on keys, where keys that hold many rows of df do not meet in one task.
+
+    `hot` are the rows of groups with such keys, a set of bounded size, which are broadcast; groups holds all. Rows of hot keys pass
+    through the other join under a key of their own, made from `spread`.
+    """
+    added = [c for c in groups.columns if c not in keys]
+    few = hot.select(*keys, F.struct(*added).alias("__hot"))
+    marked = df.join(F.broadcast(few), keys, "left")
+    rest = groups.select(*(F.col(k).alias(f"__{k}") for k in keys), F.lit(0).cast("long").alias("__spread"), F.struct(*added).alias("__cold"))
+    found = F.col("__hot").isNotNull()
+    same = (F.when(found, F.coalesce(spread, F.lit(0)) * 2 + 1).otherwise(0) == F.col("__spread")) & ~found
+    for k in keys:
+        same = same & (F.col(k) == F.col(f"__{k}"))
+    joined = marked.join(rest, same, "left").withColumn("__both", F.coalesce("__hot", "__cold"))
+    return joined.select(*df.columns, *(F.col(f"__both.{c}").alias(c) for c in added))
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.RecordBatch]:
     """Smaller batches, so that what a worker makes of one stays small; memory that is free at the end goes back to the system."""
     for batch in batches:

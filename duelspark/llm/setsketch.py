@@ -29,10 +29,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, slices, unmaterialise
+from .common import join_hot, materialise, slices, unmaterialise
 from .components import components
 from .shingles import WIDTH, mix, shingle_sets
 
+HOT = 1000  # a set that more than this part of all documents have is hot
+
 
 @dataclass(frozen=True)
 class Sketch:
@@ -182,8 +184,9 @@ def verified(pairs: DataFrame, sets: DataFrame, sketch: Sketch) -> DataFrame:
 def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int = 1) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable over links) and kept, for every row."""
     table = materialise(sketches(documents, sketch), "sketches")
-    groups = table.where("n > 0 AND doc_id IS NOT NULL").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"))
-    reps = groups.join(table.withColumnRenamed("doc_id", "rep"), ["f1", "f2", "n", "rep"]).dropDuplicates(["rep"]).select("rep", "n", "registers")
+    groups = table.where("n > 0 AND doc_id IS NOT NULL").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.count("*").alias("size"))
+    hot = groups.where(F.col("size") > max(100, table.count() // HOT)).drop("size")  # fewer than HOT sets
+    reps = groups.drop("size").join(table.withColumnRenamed("doc_id", "rep"), ["f1", "f2", "n", "rep"]).dropDuplicates(["rep"]).select("rep", "n", "registers")
     hashes = F.transform(F.sequence(F.lit(0), F.lit(sketch.bands - 1)), lambda i: F.xxhash64(i, F.col("registers").substr(i * (2 * sketch.rows) + 1, F.lit(2 * sketch.rows))))
     buckets = reps.select("rep", F.explode(hashes).alias("bucket"))
     first = buckets.groupBy("bucket").agg(F.min("rep").alias("lead"), F.count("*").alias("size")).where("size > 1").drop("size")
@@ -226,7 +229,7 @@ def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int
     label = compare(near.select(*ordered), estimate=False)
     for done in (members, sets, known):
         unmaterialise(done)
-    linked = table.drop("registers").join(groups, ["f1", "f2", "n"], "left").join(label.select(F.col("id").alias("rep"), "component"), "rep", "left")
+    linked = join_hot(table.drop("registers"), groups.drop("size"), ["f1", "f2", "n"], hot, F.col("doc_id")).join(label.select(F.col("id").alias("rep"), "component"), "rep", "left")
     component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("component", "rep"))
     out = linked.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
@@ -234,5 +237,7 @@ def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int
 
 def without_copies(documents: DataFrame, sketch: Sketch = Sketch()) -> DataFrame:
     """The documents, all columns, of which one of each component stays."""
-    gone = near_duplicates(documents, sketch).where(~F.col("kept")).select(F.col("doc_id").alias("__gone"))
+    found = near_duplicates(documents, sketch)
+    gone = materialise(found.where(~F.col("kept")).select(F.col("doc_id").alias("__gone")), "gone")
+    unmaterialise(found)
     return documents.join(gone, documents["doc_id"] == F.col("__gone"), "left_anti")
