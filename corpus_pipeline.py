@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from duelspark.llm import bpe, langid, mixing, pii, setsketch
-from duelspark.llm.common import materialise, table
+from duelspark.llm.common import materialise, table, unmaterialise
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,10 +50,17 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages on documents; each stage's result is written and read again."""
+    """All stages on documents; each stage's result is written and read again, and goes when the next one's is there.
+
+    An empty table gives an empty result; null texts go with the language stage, which finds no letter in them; repeated rows of a
+    doc_id stay or go together; columns beyond those of documents are carried to the last stage.
+    """
     docs = table(spark, sf_dir, "documents")
     for k, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
+        done = stage(spark, docs, sf_dir)
         if k < len(STAGES) - 1:
-            docs = materialise(docs, f"pipeline-{name}")
+            done = materialise(done, f"pipeline-{name}")
+            if k:
+                unmaterialise(docs)
+        docs = done
     return docs
