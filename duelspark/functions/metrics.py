@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -75,3 +76,14 @@ def one_minus(similarity: Callable[[Column, Column], Column]) -> Metric:
 def gap(a: Column, b: Column) -> Column:
     """Distance of two positions on a line, already in ticks."""
     return F.abs(a - b)
+
+
+def custom(distance) -> Metric:
+    """A metric from a function of two pandas Series that returns one; it runs in Arrow batches, so built-in metrics are to be preferred."""
+    from pyspark.sql.functions import pandas_udf
+
+    @pandas_udf("double")
+    def measured(a: pd.Series, b: pd.Series) -> pd.Series:
+        return distance(a, b).astype("float64")
+
+    return measured

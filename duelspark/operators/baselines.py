@@ -12,7 +12,7 @@ from ..functions.metrics import Metric
 from ..functions.ticks import coin
 from ..plans.lineage import cut
 from . import extremum, kcenter, linkage, sampling
-from .judges import Judge
+from .judges import Judge, grade
 
 
 def knockout(df: DataFrame, judge: Judge, want: str = "max", seed: int = 7) -> DataFrame:
@@ -49,7 +49,7 @@ def kcenter_sampled(df: DataFrame, k: int, metric: Metric, judge: Judge, seed: i
     sample = sampling.draw(df, max(k, math.ceil(k * math.log(max(2, n)))), n, seed)
     if first is not None:
         sample = sample.unionByName(df.where(F.col("id") == first)).dropDuplicates(["id"])
-    _, ids = kcenter.band(sample.persist(), k, metric, judge, first=first, seed=seed)
+    _, ids = kcenter.band(cut(sample), k, metric, judge, first=first, seed=seed)
     centers = [kcenter._center(df, c) for c in ids]
     return kcenter.finish(kcenter.assign_duels(df, centers, metric, judge), ids), ids
 
@@ -61,31 +61,38 @@ def feature_greedy(df: DataFrame, k: int, similarity: Callable[[Column, Column],
     return kcenter.exact_greedy(df, k, one_minus(similarity), first)
 
 
-def same_cluster_pairs(df: DataFrame, pairs: int = 150, seed: int = 7) -> DataFrame:
-    """a, b: pairs of records drawn by a coin (a pair of an id and the ids that follow it on a shuffled ring)."""
-    from pyspark.sql import Window as W
+def graded_greedy(df: DataFrame, k: int, metric: Metric, same: Callable[[Column, Column], Column], first: int | None = None, seed: int = 7) -> tuple[DataFrame, list[int]]:
+    """Greedy k-center on distance grades in place of comparisons: each record's grade to a center is off as the judge of grades errs.
+
+    payload is a struct that holds `id`, by which a grade persists; same(a, b) says whether two payloads are one entity.
+    """
+    graded = lambda a, b: grade(metric(a, b), a["id"], b["id"], same(a, b), seed=seed)
+    return kcenter.exact_greedy(df, k, graded, first, seed)
 
-    order = W.orderBy(coin(seed, F.lit("ring"), F.col("id")), "id")
+
+def same_cluster_pairs(df: DataFrame, pairs: int = 150, seed: int = 7) -> DataFrame:
+    """a, b: at most so many different pairs of records drawn at random, each end by its own coin."""
     n = df.count()
-    per = max(1, math.ceil(pairs / max(1, n)))
-    drawn = df.select("id").orderBy(coin(seed, F.lit("ring"), F.col("id")), "id").limit(pairs + per)
-    ring = drawn.withColumn("at", F.row_number().over(order))
-    both = ring.alias("x").join(ring.alias("y"), (F.col("y.at") > F.col("x.at")) & (F.col("y.at") <= F.col("x.at") + per))
-    return both.select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).limit(pairs)
+    ranked = extremum.leaves(df.select("id", F.lit(0).alias("val")), n, seed).select("id", "pos")
+    end = lambda s: F.pmod(coin(seed, F.lit("end"), F.lit(s), F.col("slot")), F.lit(max(1, n)))
+    slots = df.sparkSession.range(2 * pairs).select(F.col("id").alias("slot"), end("a").alias("x"), end("b").alias("y")).where("x <> y")
+    named = slots.join(ranked.withColumnsRenamed({"id": "u", "pos": "x"}), "x").join(ranked.withColumnsRenamed({"id": "v", "pos": "y"}), "y")
+    both = named.select("slot", F.least("u", "v").alias("a"), F.greatest("u", "v").alias("b")).groupBy("a", "b").agg(F.min("slot").alias("slot"))
+    return both.orderBy("slot").limit(pairs).select("a", "b")
 
 
-def clusters_of_yes(df: DataFrame, yes: DataFrame, rounds: int = 50) -> DataFrame:
-    """id, center_id: components of the pairs (a, b) answered yes, by the smallest label of the neighbours."""
+def clusters_of_yes(df: DataFrame, yes: DataFrame) -> DataFrame:
+    """id, center_id: components of the pairs (a, b) answered yes. Labels and the labels of labels are taken down until none moves."""
     label = df.select("id", F.col("id").alias("center_id"))
-    both = yes.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(yes.select(F.col("b").alias("u"), F.col("a").alias("v"))).persist()
-    for _ in range(rounds):
+    both = cut(yes.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(yes.select(F.col("b").alias("u"), F.col("a").alias("v"))))
+    while True:
         low = both.join(label.withColumnRenamed("id", "v"), "v").groupBy(F.col("u").alias("id")).agg(F.min("center_id").alias("low"))
-        after = cut(label.join(low, "id", "left").select("id", F.least("center_id", F.coalesce("low", "center_id")).alias("center_id")))
-        moved = after.join(label.withColumnRenamed("center_id", "old"), "id").where("center_id <> old").count()
-        label = after
-        if not moved:
-            break
-    return label
+        lowered = label.join(low, "id", "left").select("id", F.col("center_id").alias("old"), F.least("center_id", F.coalesce("low", "center_id")).alias("now"))
+        up = label.select(F.col("id").alias("now"), F.col("center_id").alias("up"))  # a label's own label, one hop on
+        after = cut(lowered.join(up, "now", "left").select("id", "old", F.least("now", F.coalesce("up", "now")).alias("center_id")))
+        label = after.select("id", "center_id")
+        if after.where("old <> center_id").isEmpty():
+            return label
 
 
 def linkage_knockout(df: DataFrame, metric: linkage.PyMetric, judge: Judge, link: str = "single", **more) -> DataFrame:

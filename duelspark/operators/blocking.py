@@ -10,13 +10,24 @@ def tokens(text: Column) -> Column:
     return F.array_distinct(F.filter(F.split(F.lower(text), "[^a-z0-9]+"), lambda t: t != ""))
 
 
-def token_pairs(df: DataFrame, text_column: str, max_df: int, min_common: int = 1) -> DataFrame:
-    """a, b, common for records (id, text) that share at least min_common tokens, counting only tokens of at most max_df records.
+def token_pairs(df: DataFrame, text_column: str, min_common: int = 1) -> DataFrame:
+    """a, b, common for all pairs of records (id, text) that share at least min_common tokens: nothing is capped.
 
-    The document-frequency bound keeps every key of the self-join small, so the pairs grow in proportion to the records.
+    Tokens are ordered from the rarest to the most frequent. Two records that share min_common of them share one among all but
+    the min_common - 1 most frequent of each, so only these prefixes are joined, and the most frequent tokens hardly open a pair.
+    Equal token sets are one class: a pair of classes is compared once, however many records each has.
     """
-    exploded = df.select("id", F.explode(tokens(F.col(text_column))).alias("token"))
-    rare = exploded.groupBy("token").agg(F.count("*").alias("df")).where(F.col("df").between(2, max_df)).select("token")
-    kept = exploded.join(rare, "token")
-    pairs = kept.select("token", F.col("id").alias("a")).join(kept.select("token", F.col("id").alias("b")), "token").where("a < b")
-    return pairs.groupBy("a", "b").agg(F.count("*").alias("common")).where(F.col("common") >= min_common)
+    sets = df.select("id", F.array_sort(tokens(F.col(text_column))).alias("tokens")).where(F.size("tokens") >= min_common)
+    classes = sets.groupBy("tokens").agg(F.min("id").alias("rep"), F.count("*").alias("n"))
+    exploded = classes.select("rep", "n", F.explode("tokens").alias("token"))
+    frequency = exploded.groupBy("token").agg(F.sum("n").alias("df"))
+    ranked = exploded.join(frequency, "token").groupBy("rep").agg(F.array_sort(F.collect_list(F.struct("df", "token"))).alias("t"))
+    ordered = ranked.select("rep", F.transform("t", lambda x: x["token"]).alias("tokens"))
+    prefix = ordered.select("rep", "tokens", F.explode(F.slice("tokens", 1, F.size("tokens") - (min_common - 1))).alias("token"))
+    one, two = prefix.withColumnsRenamed({"rep": "x", "tokens": "p"}), prefix.withColumnsRenamed({"rep": "y", "tokens": "q"})
+    shared = F.array_intersect("p", "q")
+    first = F.col("token") == F.get(F.filter(shared, lambda s: F.array_contains(F.slice("p", 1, F.size("p") - (min_common - 1)), s) & F.array_contains(F.slice("q", 1, F.size("q") - (min_common - 1)), s)), F.lit(0))
+    met = one.join(two, "token").where((F.col("x") <= F.col("y")) & (F.size(shared) >= min_common) & first).select("x", "y", F.size(shared).cast("long").alias("common"))
+    member = sets.join(classes.select("tokens", "rep"), "tokens").select("rep", "id")
+    pairs = met.join(member.withColumnsRenamed({"rep": "x", "id": "u"}), "x").join(member.withColumnsRenamed({"rep": "y", "id": "v"}), "y")
+    return pairs.where((F.col("x") != F.col("y")) | (F.col("u") < F.col("v"))).select(F.least("u", "v").alias("a"), F.greatest("u", "v").alias("b"), "common")

@@ -6,15 +6,15 @@ A set is a DataFrame (id, val); val is what the judge sees and what a result rep
 from __future__ import annotations
 
 import math
-from collections.abc import Callable
-from dataclasses import replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.lineage import cut
 from . import sampling, scores
-from .judges import Judge, item
+from .judges import Judge, constant, item
+
+LEAVES = 100_000  # records of a range that one task ranks
 
 
 def _directed(judge: Judge, want: str) -> Judge:
@@ -41,10 +41,10 @@ def running_champion(df: DataFrame, judge: Judge, want: str = "max") -> DataFram
 def round_robin(df: DataFrame, judge: Judge, want: str = "max", seed: int = 7, grid: int | None = None) -> DataFrame:
     """All pairs: never below the maximum by more than a factor (1 + mu)**2."""
     n = df.count()
-    return _extremum(scores.round_robin(df, _directed(judge, want), grid), n, n * (n - 1) // 2, seed)
+    return _extremum(scores.round_robin(df, _directed(judge, want), grid or _grid(n)), n, n * (n - 1) // 2, seed)
 
 
-def array_bracket(heat: Column, judge: Judge, beats: Callable[[Column, Column], Column] | None = None) -> Column:
+def array_bracket(heat: Column, judge: Judge | None, beats: scores.Beats | None = None) -> Column:
     """Winner of a knockout in an array of (pos, id, val) in this order; an odd one out goes on unopposed.
 
     beats(b, a), if given, compares two entries in place of a question to the judge.
@@ -65,10 +65,25 @@ def array_bracket(heat: Column, judge: Judge, beats: Callable[[Column, Column],
     return F.get(F.aggregate(F.sequence(F.lit(1), rounds), heat, level), F.lit(0))
 
 
-def heat_winners(df: DataFrame, judge: Judge, heats: int, rounds: int = 1, seed: int = 7) -> DataFrame:
+def _heats(df: DataFrame, heats: int, rounds: int, seed: int, marked: Column | None = None) -> DataFrame:
+    return sampling.deal_heats(df, heats, rounds, seed, marked).groupBy("round", "heat").agg(F.array_sort(F.collect_list(F.struct("pos", "id", "val", "mark"))).alias("entries"))
+
+
+def heat_winners(df: DataFrame, judge: Judge | None, heats: int, rounds: int = 1, seed: int = 7, beats: scores.Beats | None = None) -> DataFrame:
     """round, heat, id, val: the knockout winner of every heat, in one shuffle for all rounds."""
-    dealt = sampling.deal_heats(df, heats, rounds, seed).groupBy("round", "heat").agg(F.array_sort(F.collect_list(F.struct("pos", "id", "val"))).alias("entries"))
-    return dealt.select("round", "heat", array_bracket(F.col("entries"), judge).alias("w")).select("round", "heat", "w.id", "w.val")
+    return _heats(df, heats, rounds, seed).select("round", "heat", array_bracket(F.col("entries"), judge, beats).alias("w")).select("round", "heat", "w.id", "w.val")
+
+
+def leaves(df: DataFrame, n: int, seed: int) -> DataFrame:
+    """id, val, pos: positions 0 to n - 1 in an order by coins. Records are ranked inside ranges of coins, so no task sorts them all."""
+    from pyspark.sql import Window as W
+
+    parts = max(1, n // LEAVES)
+    coined = df.select("id", "val", sampling.coin(seed, F.lit("leaf"), F.col("id")).alias("coin")).withColumn("part", F.floor(F.col("coin") * parts / sampling.COIN_RANGE).cast("int"))
+    counts = coined.groupBy("part").agg(F.count("*").alias("n"))  # a row for about LEAVES records
+    before = counts.select("part", (F.sum("n").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, 0)) - F.col("n")).alias("before"))
+    ranked = coined.withColumn("within", F.row_number().over(W.partitionBy("part").orderBy("coin", "id")) - 1)
+    return ranked.join(F.broadcast(before) if parts <= scores.BROADCAST_ROWS else before, "part").select("id", "val", (F.col("before") + F.col("within")).alias("pos"))
 
 
 def bracket(df: DataFrame, judge: Judge, fanout: int = 2, seed: int = 7, want: str = "max") -> DataFrame:
@@ -81,10 +96,7 @@ def bracket(df: DataFrame, judge: Judge, fanout: int = 2, seed: int = 7, want: s
     if fanout >= n:
         return round_robin(df, judge, want, seed)
     directed = _directed(judge, want)
-    from pyspark.sql import Window as W
-
-    order = W.orderBy(sampling.coin(seed, F.lit("leaf"), F.col("id")), "id")
-    now, questions, width = df.select("id", "val", (F.row_number().over(order) - 1).alias("pos")), 0, n
+    now, questions, width = leaves(df, n, seed), 0, n
     side = lambda x: item(x["id"], x["val"])
     while width > 1:
         full, rest = divmod(width, fanout)
@@ -96,37 +108,71 @@ def bracket(df: DataFrame, judge: Judge, fanout: int = 2, seed: int = 7, want: s
     return now.select(F.col("id").alias("winner_id"), F.col("val").alias("winner_val"), F.lit(questions).cast("long").alias("questions"))
 
 
-def finalists(df: DataFrame, judge: Judge, n: int, t: int, heats: int, seed: int, final_pool: str = "both") -> DataFrame:
-    """The sample and the winners of the heats of all rounds, each once; `final_pool` = sample or both."""
-    sample = sampling.draw(df.select("id", "val"), math.ceil(math.sqrt(n)) * t, n, seed)
+def finalists(df: DataFrame, judge: Judge | None, n: int, t: int, heats: int, seed: int, final_pool: str = "both", beats: scores.Beats | None = None) -> DataFrame:
+    """The sample and the winners of the heats of all rounds, each once, from one scan and one shuffle; `final_pool` = sample or both."""
+    size = math.ceil(math.sqrt(n)) * t
     if final_pool == "sample":
-        return sample
-    return sample.unionByName(heat_winners(df, judge, heats, t, seed).select("id", "val")).distinct()
+        return sampling.draw(df.select("id", "val"), size, n, seed)
+    both = F.concat(F.filter("entries", lambda x: x["mark"]), F.array(array_bracket(F.col("entries"), judge, beats)))
+    return _heats(df, heats, t, seed, sampling.drawn(size, n, seed)).select(F.explode(both).alias("e")).select("e.id", "e.val").dropDuplicates(["id"])
+
+
+def _grid(rows: int) -> int | None:
+    return None if rows <= scores.BROADCAST_ROWS else max(2, math.ceil(rows / 4096))
 
 
-def robust_band(df: DataFrame, judge: Judge, delta: float = 0.1, t: int | None = None, heats: int | None = None, want: str = "max", seed: int = 7, n: int | None = None, final_pool: str = "both", grid: int | None = None) -> DataFrame:
+def robust_band(df: DataFrame, judge: Judge, delta: float = 0.1, t: int | None = None, heats: int | None = None, want: str = "max", seed: int = 7, n: int | None = None, final_pool: str = "both", grid: int | None = None, beats: scores.Beats | None = None) -> DataFrame:
     """Robust maximum (minimum) under band noise: within (1 + mu)**3 with probability 1 - delta, without knowing mu.
 
-    A sample of sqrt(n) t records and the winners of t rounds of sqrt(n) knockout heats meet in a round robin.
-    One shuffle for the heats, one for the scores.
+    A sample of sqrt(n) t records and the winners of t rounds of sqrt(n) knockout heats meet in a round robin. One shuffle for the
+    heats, whose finalists are materialised, and one for the scores. beats(x, y), if given, is the comparison of two entries
+    (id, val) in place of single questions: a vote, for coin noise; val may then be whatever the vote needs.
     """
-    directed = _directed(judge, want)
+    directed = None if beats else _directed(judge, want)
     n = df.count() if n is None else n
     t = sampling.rounds_for("max", n, delta=delta) if t is None else t
     heats = max(1, math.ceil(math.sqrt(n))) if heats is None else heats
-    pool = finalists(df, directed, n, t, heats, seed, final_pool)
-    if grid is None and 2 * math.sqrt(max(1, n)) * t > scores.BROADCAST_ROWS:
-        grid = max(2, math.ceil(2 * math.sqrt(n) * t / 4096))
-    scored = scores.round_robin(pool, directed, grid)
-    size = F.sum(F.lit(1)).over(_all())
-    scored = scored.withColumn("__size", size)
-    return scores.pick(scored, seed).select(F.col("id").alias("winner_id"), F.col("val").alias("winner_val"), F.col("wins").alias("win_score"), F.col("__size").cast("long").alias("pool_size"), (F.lit((n - heats) * t) + F.col("__size") * (F.col("__size") - 1) / 2).cast("long").alias("questions"))
+    pool = cut(finalists(df, directed, n, t, heats, seed, final_pool, beats))
+    size = pool.count()
+    return _extremum(scores.round_robin(pool, directed, grid or _grid(size), beats), size, (n - heats) * t + size * (size - 1) // 2, seed)
 
 
-def _all():
-    from pyspark.sql import Window as W
+def robust_band_by(df: DataFrame, by: str, judge: Judge, n: int, t: int = 1, heats: int | None = None, want: str = "max", seed: int = 7) -> DataFrame:
+    """by, winner_id, winner_val, questions: the robust search for many sets (by, id, val) of about n records at once.
+
+    One shuffle deals the records to (set, round, heat), one gathers the finalists of each set, about 2 sqrt(n) t, which then meet in
+    an array; so every task holds one heat or one set's finalists.
+    """
+    directed = _directed(judge, want)
+    heats, size = max(1, math.ceil(math.sqrt(n))) if heats is None else heats, math.ceil(math.sqrt(n)) * t
+    kept = int((1 - (1 - 1 / max(1, n)) ** size) * sampling.COIN_RANGE)
+    dealt = df.select(by, "id", "val", (sampling.coin(seed, F.lit("draw"), F.col(by), F.col("id")) < kept).alias("mark"), F.explode(F.sequence(F.lit(1), F.lit(t))).alias("round"))
+    placed = dealt.withColumn("pos", sampling.coin(seed, F.lit("heat"), F.col(by), F.col("round"), F.col("id")))
+    heat = placed.groupBy(by, "round", F.pmod("pos", F.lit(heats)).alias("heat")).agg(F.array_sort(F.collect_list(F.struct("pos", "id", "val", (F.col("mark") & (F.col("round") == 1)).alias("mark")))).alias("entries"))
+    both = heat.select(by, (F.size("entries") - 1).alias("asked"), F.concat(F.filter("entries", lambda x: x["mark"]), F.array(array_bracket(F.col("entries"), directed))).alias("e"))
+    pool = both.groupBy(by).agg(F.array_sort(F.array_distinct(F.transform(F.flatten(F.collect_list("e")), lambda x: item(x["id"], x["val"])))).alias("pool"), F.sum("asked").alias("asked"))
+    return _champions(pool, by, directed, seed)
+
+
+def round_robin_by(df: DataFrame, by: str, judge: Judge, want: str = "max", seed: int = 7) -> DataFrame:
+    """by, winner_id, winner_val, questions: all pairs of each small set (by, id, val)."""
+    directed = _directed(judge, want)
+    pool = df.groupBy(by).agg(F.array_sort(F.collect_list(item(F.col("id"), F.col("val")))).alias("pool"))
+    return _champions(pool.withColumn("asked", F.lit(0)), by, directed, seed)
 
-    return W.partitionBy()
+
+def _champions(pool: DataFrame, by: str, directed: Judge, seed: int) -> DataFrame:
+    wins = lambda x: F.aggregate("pool", F.lit(0), lambda s, y: s + ((x["id"] != y["id"]) & directed.beats(x, y)).cast("int"))
+    best = F.array_max(F.transform("pool", lambda x: F.struct(wins(x).alias("wins"), (-sampling.coin(seed, F.lit("tie"), F.col(by), x["id"])).alias("tie"), x["id"].alias("id"), x["val"].alias("val"))))
+    m = F.size("pool")
+    won = pool.select(by, best.alias("w"), (F.col("asked") + m * (m - 1) / 2).cast("long").alias("questions"))
+    return won.select(by, F.col("w.id").alias("winner_id"), F.col("w.val").alias("winner_val"), "questions")
+
+
+def runs_of(df: DataFrame, runs: int) -> DataFrame:
+    """run, id, val: the set so many times over. The run is part of the id, so a judge on pairs errs anew in every run."""
+    many = df.withColumn("run", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).cast("long"))
+    return many.select("run", F.struct(F.col("run").alias("k1"), F.col("id").cast("long").alias("k2")).alias("id"), "val")
 
 
 def robust_coin(df: DataFrame, judge: Judge, delta: float = 0.1, sample_const: float = 2.0, keep_share: float = 0.5, want: str = "max", seed: int = 7) -> DataFrame:
@@ -146,22 +192,18 @@ def robust_coin(df: DataFrame, judge: Judge, delta: float = 0.1, sample_const: f
             break
         drawn = [(r["id"], r["val"]) for r in now.orderBy(sampling.coin(seed, F.lit("S"), F.lit(turn), F.col("id")), "id").limit(size).collect()]  # a sample of logarithmic size
         kept_samples += drawn
-        sample = F.array(*(F.struct(F.lit(i).cast("long").alias("id"), F.lit(v).cast("long").alias("val")) for i, v in drawn))
+        sample = F.array(*(F.struct(constant(i).alias("id"), constant(v).alias("val")) for i, v in drawn))
         wins = F.aggregate(sample, F.lit(0), lambda s, x: s + directed.beats(item(F.col("id"), F.col("val")), x).cast("int"))
-        rest = now.where(~F.col("id").isin([i for i, _ in drawn]))
+        rest = now.where(~F.exists(sample, lambda x: x["id"] == F.col("id")))
         asked += (left - len(drawn)) * len(drawn)
         now = cut(rest.where(wins >= F.lit(keep_share * len(drawn))))
     pool = now
     if kept_samples:
-        pool = now.unionByName(df.sparkSession.createDataFrame(kept_samples, "id long, val long")).distinct()
+        pool = now.unionByName(df.sparkSession.createDataFrame(kept_samples, now.schema)).distinct()
     final = pool.count()
-    return _extremum(scores.round_robin(pool, directed), final, asked + final * (final - 1) // 2, seed)
+    return _extremum(scores.round_robin(pool, directed, _grid(final)), final, asked + final * (final - 1) // 2, seed)
 
 
-def top_k(pool: DataFrame, judge: Judge, k: int, seed: int = 7) -> DataFrame:
+def top_k(pool: DataFrame, judge: Judge, k: int, seed: int = 7, want: str = "max") -> DataFrame:
     """The k records with the highest scores of a round robin."""
-    return scores.round_robin(pool, judge).orderBy(F.desc("wins"), sampling.coin(seed, F.lit("tie"), F.col("id")), "id").limit(k)
-
-
-def with_policy(judge: Judge, policy: str) -> Judge:
-    return replace(judge, policy=policy)
+    return scores.round_robin(pool, _directed(judge, want), _grid(pool.count())).orderBy(F.desc("wins"), sampling.coin(seed, F.lit("tie"), F.col("id")), "id").limit(k)

@@ -7,7 +7,7 @@ persistent: they depend on the seed and on the two ids in canonical order; the s
 
 from __future__ import annotations
 
-from collections.abc import Callable, Sequence
+from collections.abc import Sequence
 from dataclasses import dataclass, replace
 from hashlib import md5
 
@@ -28,6 +28,13 @@ def pair_id(a: Column, b: Column) -> Column:
     return F.struct(F.least(a, b).alias("k1"), F.greatest(a, b).alias("k2"))
 
 
+def constant(value) -> Column:
+    """A collected id or value: a number, or a pair of numbers as a struct."""
+    if hasattr(value, "asDict"):
+        return F.struct(*(constant(v).alias(k) for k, v in value.asDict().items()))
+    return F.lit(value).cast("long")
+
+
 @dataclass(frozen=True)
 class Judge:
     """kind: exact, band (mu_milli), additive (theta), coin (p), fresh (p, attempt), crowd (p, workers). pairs: ids are structs (k1, k2)."""
@@ -173,6 +180,3 @@ def grade(distance: Column, a: Column, b: Column, same: Column, error_same: floa
     """An estimated distance in ticks, off by up to 20 % for the same entity and 50 % for others."""
     share = coin(seed, F.least(a, b), F.greatest(a, b)) / float(COIN_RANGE) * 2 - 1
     return F.floor(distance * (1 + share * F.when(same, error_same).otherwise(error_other))).cast("long")
-
-
-Comparison = Callable[[Column, Column], Column]

@@ -61,8 +61,11 @@ def pair_answers_fscore(pairs: DataFrame) -> DataFrame:
     return pairs.agg(said.alias("pairs_said"), same.alias("pairs_same"), hit.alias("pairs_both"), F.round(hit / said, 6).alias("precision"), F.round(hit / same, 6).alias("recall"), F.round(2 * hit / (said + same), 6).alias("fscore"))
 
 
-def core_purity(core: list, truth: dict, center: int) -> float:
-    return sum(truth[c["id"]] == truth[center] for c in core) / max(1, len(core))
+def core_purity(core: list, truth: DataFrame, center: int) -> DataFrame:
+    """members, purity: the share of a core (rows with an id) that has the center's true cluster."""
+    of = truth.where(F.col("id").isin([c["id"] for c in core]))
+    own = truth.where(F.col("id") == center).select(F.col("truth").alias("own"))
+    return of.crossJoin(F.broadcast(own)).agg(F.count("*").alias("members"), F.round(F.avg((F.col("truth") == F.col("own")).cast("double")), 6).alias("purity"))
 
 
 def merged_distance(merges: DataFrame) -> DataFrame:
@@ -74,6 +77,21 @@ def merged_distance(merges: DataFrame) -> DataFrame:
     return out.select("block", "step", F.round("mean_dist", 3).alias("mean_dist"), F.round(F.col("mean_dist") - F.lag("mean_dist").over(order), 3).alias("change"))
 
 
+def per_merge_ratio(merges: DataFrame) -> DataFrame:
+    """worst, mean: each merged distance over the best that was available at that step (column best_dist of a measured hierarchy)."""
+    ratio = F.when(F.col("best_dist") > 0, F.col("link_dist") / F.col("best_dist")).when(F.col("link_dist") == 0, 1.0)
+    return merges.agg(F.round(F.max(ratio), 6).alias("worst"), F.round(F.avg(ratio), 6).alias("mean"))
+
+
+def by_iteration(merges: DataFrame, exact: DataFrame) -> DataFrame:
+    """block, step, mean distance merged until then over that of the exact hierarchy at the same step."""
+    from pyspark.sql import Window as W
+
+    so_far = W.partitionBy("block").orderBy("step").rowsBetween(W.unboundedPreceding, 0)
+    mean = lambda df, name: df.select("block", "step", F.avg("link_dist").over(so_far).alias(name))
+    return mean(merges, "ours").join(mean(exact, "best"), ["block", "step"]).select("block", "step", F.round(F.col("ours") / F.col("best"), 6).alias("ratio"))
+
+
 def merge_ratio(merges: DataFrame, exact: DataFrame) -> DataFrame:
     """Mean merged distance over that of the exact hierarchy (which is 1)."""
     mean = lambda df, name: df.agg(F.avg("link_dist").alias(name))

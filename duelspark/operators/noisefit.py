@@ -11,17 +11,18 @@ from pyspark.sql import functions as F
 from ..functions.metrics import Metric
 from ..functions.ticks import coin
 from .judges import Judge, item, pair_id
+from .scores import opponents
 
 
 def bucket_pairs(df: DataFrame, metric: Metric, n_buckets: int, low: int, high: int) -> DataFrame:
     """a, b, dist, bucket: all pairs of a small metric set, by equal ranges of distance."""
-    other = F.broadcast(df.select(F.col("id").alias("b"), F.col("payload").alias("q")))
-    pairs = df.join(other, F.col("id") < F.col("b")).select(F.col("id").alias("a"), "b", metric(F.col("payload"), F.col("q")).alias("dist"))
+    other = df.select(F.col("id").alias("b"), F.col("payload").alias("q"))
+    pairs = opponents(df, other, F.col("id") < F.col("b")).select(F.col("id").alias("a"), "b", metric(F.col("payload"), F.col("q")).alias("dist"))
     return pairs.withColumn("bucket", F.least(F.greatest(F.width_bucket(F.col("dist").cast("double"), F.lit(float(low)), F.lit(float(high)), F.lit(n_buckets)), F.lit(1)), F.lit(n_buckets)).cast("int"))
 
 
 def sample_questions(bucketed: DataFrame, per_cell: int, seed: int = 7) -> DataFrame:
-    """Questions for every two buckets: per_cell times the next pair of one is set against a pair of the other."""
+    """Questions for every two buckets: per_cell times a drawn pair of one is set against a drawn pair of the other."""
     order = W.partitionBy("bucket").orderBy(coin(seed, F.lit("cell"), F.col("a"), F.col("b")), "a", "b")
     ranked = bucketed.withColumn("slot", F.row_number().over(order)).where(F.col("slot") <= per_cell + 1)
     side = lambda s: ranked.select("slot", *(F.col(c).alias(f"{c}{s}") for c in ("a", "b", "dist", "bucket")))
@@ -76,32 +77,45 @@ def active_learn(pool: DataFrame, features: list[str], batch: int = 20, min_gain
 
     pool: qid, the features, and `answer` (0 or 1), which is read only for the questions asked and for a validation fifth.
     """
+    return learned_answers(pool, features, batch, min_gain, most, seed)[0]
+
+
+def learned_answers(pool: DataFrame, features: list[str], batch: int = 20, min_gain: float = 0.01, most: int = 12, seed: int = 7) -> tuple[DataFrame, DataFrame]:
+    """The curve of active_learn, and the pool with `yes`: the answer itself where it was asked, the forest's elsewhere.
+
+    The second is a source of answers for the other methods (judges.from_table). Learning stops when a batch after the third
+    gains at most min_gain.
+    """
     from pyspark.ml.classification import RandomForestClassifier
     from pyspark.ml.feature import VectorAssembler
     from pyspark.ml.functions import vector_to_array
 
-    table = VectorAssembler(inputCols=features, outputCol="x").transform(pool).select("qid", "x", F.col("answer").cast("double").alias("label")).persist()
-    held = table.where(F.pmod(coin(seed, F.lit("held"), F.col("qid")), F.lit(5)) == 0)
-    free = table.where(F.pmod(coin(seed, F.lit("held"), F.col("qid")), F.lit(5)) != 0)
-    chosen = [r["qid"] for r in free.orderBy(coin(seed, F.lit("batch"), F.col("qid")), "qid").limit(batch).collect()]
-    curve, before = [], None
+    from ..plans.lineage import cut
+
+    table = VectorAssembler(inputCols=features, outputCol="x").transform(cut(pool)).withColumn("label", F.col("answer").cast("double"))
+    fifth = F.pmod(coin(seed, F.lit("held"), F.col("qid")), F.lit(5))
+    held, free = table.where(fifth == 0), table.where(fifth != 0)
+    drawn = coin(seed, F.lit("batch"), F.col("qid"))
+    chosen = [r["qid"] for r in free.orderBy(drawn, "qid").limit(batch).select("qid").collect()]  # a batch
+    curve, before, model = [], None, None
     for turn in range(most):
         known = free.where(F.col("qid").isin(chosen))
-        if known.select("label").distinct().count() < 2:
-            accuracy, model = 0.5, None
-        else:
+        accuracy = 0.5
+        if known.select("label").distinct().count() > 1:
             model = RandomForestClassifier(featuresCol="x", numTrees=20, maxDepth=5, seed=seed).fit(known)
             accuracy = model.transform(held).agg(F.avg((F.col("prediction") == F.col("label")).cast("double"))).first()[0] or 0.0
         gain = None if before is None else accuracy - before
         curve.append((turn + 1, len(chosen), round(accuracy, 6), None if gain is None else round(gain, 6)))
-        if gain is not None and gain <= min_gain:
+        if gain is not None and gain <= min_gain and turn >= 3:
             break
         before = accuracy
         rest = free.where(~F.col("qid").isin(chosen))
         doubt = F.abs(vector_to_array("probability")[0] - 0.5) if model else F.lit(0.0)
-        ranked = (model.transform(rest) if model else rest).orderBy(doubt, coin(seed, F.lit("batch"), F.col("qid")), "qid")
-        chosen += [r["qid"] for r in ranked.limit(batch).select("qid").collect()]
-    return pool.sparkSession.createDataFrame(curve, "batch int, asked int, accuracy double, gain double")
+        chosen += [r["qid"] for r in (model.transform(rest) if model else rest).orderBy(doubt, drawn, "qid").limit(batch).select("qid").collect()]  # a batch
+    said = F.col("prediction") == 1 if model else F.lit(True)
+    answered = model.transform(table) if model else table
+    yes = F.when(F.col("qid").isin(chosen[: curve[-1][1]]), F.col("answer") == 1).otherwise(said)
+    return pool.sparkSession.createDataFrame(curve, "batch int, asked int, accuracy double, gain double"), answered.select(*pool.columns, yes.alias("yes"))
 
 
 def per_cell(n: int) -> int:

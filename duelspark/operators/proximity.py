@@ -2,17 +2,14 @@
 
 from __future__ import annotations
 
-import math
-from dataclasses import replace
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.metrics import Metric
-from . import extremum, sampling, scores
-from .judges import Judge
-from .kcenter import as_literal
-from .votes import anchored_vote
+from . import extremum, scores
+from .judges import Judge, pair_id
+from .kcenter import as_literal, extract_core
+from .votes import items, nearer_by_anchors
 
 
 def distances(df: DataFrame, query_id: int, metric: Metric) -> DataFrame:
@@ -21,55 +18,74 @@ def distances(df: DataFrame, query_id: int, metric: Metric) -> DataFrame:
     return df.where(F.col("id") != query_id).crossJoin(query).select("id", metric(F.col("payload"), F.col("q")).alias("val"))
 
 
+def _asked(df: DataFrame, query_id: int, metric: Metric) -> DataFrame:
+    """Distances with the id of the pair, by which answers persist in all methods: one question has one answer."""
+    return distances(df, query_id, metric).select(pair_id(F.lit(query_id).cast("long"), F.col("id").cast("long")).alias("id"), "val")
+
+
+def _named(found: DataFrame, query_id: int) -> DataFrame:
+    """The winner of pairs as the record that is not the query."""
+    return found.withColumn("winner_id", F.when(F.col("winner_id.k1") == query_id, F.col("winner_id.k2")).otherwise(F.col("winner_id.k1")))
+
+
 def farthest_band(df: DataFrame, query_id: int, metric: Metric, judge: Judge, **more) -> DataFrame:
     """At least the largest distance divided by (1 + mu)**3, with probability 1 - delta."""
-    return extremum.robust_band(distances(df, query_id, metric), replace(judge, seed=judge.seed * 1_000_003 + query_id), want="max", **more)
+    return _named(extremum.robust_band(_asked(df, query_id, metric), judge.on_pairs(), want="max", **more), query_id)
 
 
 def nearest_band(df: DataFrame, query_id: int, metric: Metric, judge: Judge, **more) -> DataFrame:
-    return extremum.robust_band(distances(df, query_id, metric), replace(judge, seed=judge.seed * 1_000_003 + query_id), want="min", **more)
+    return _named(extremum.robust_band(_asked(df, query_id, metric), judge.on_pairs(), want="min", **more), query_id)
 
 
 def farthest_coin_rank(df: DataFrame, query_id: int, metric: Metric, judge: Judge, **more) -> DataFrame:
     """Of a rank of the order of log(n / delta)**2."""
-    return extremum.robust_coin(distances(df, query_id, metric), replace(judge, seed=judge.seed * 1_000_003 + query_id), want="max", **more)
+    return _named(extremum.robust_coin(_asked(df, query_id, metric), judge.on_pairs(), want="max", **more), query_id)
 
 
 def nearest_coin(df: DataFrame, query_id: int, metric: Metric, judge: Judge, **more) -> DataFrame:
-    return extremum.robust_coin(distances(df, query_id, metric), replace(judge, seed=judge.seed * 1_000_003 + query_id), want="min", **more)
+    return _named(extremum.robust_coin(_asked(df, query_id, metric), judge.on_pairs(), want="min", **more), query_id)
+
+
+def _by_anchors(df: DataFrame, query_id: int, anchors: list, metric: Metric, judge: Judge, share: float, want: str):
+    """Records (id, val) whose val are the items to the anchors, and the comparison of two such entries."""
+    rows = df.where(F.col("id") != query_id).select("id", items(F.col("id"), F.col("payload"), as_literal(anchors), metric).alias("val"))
+    nearer = lambda x, y: nearer_by_anchors(x["val"], y["val"], judge, share)
+    return rows, (lambda x, y: ~nearer(x, y)) if want == "max" else nearer
 
 
 def anchored_scores(df: DataFrame, query_id: int, anchors: list, metric: Metric, judge: Judge, share: float = 0.5, want: str = "max") -> DataFrame:
-    """id, payload, wins of a small pool where each question is a vote of the anchors (rows id, payload near the query)."""
-    stars = as_literal(anchors)
-    pool = df.where(F.col("id") != query_id).select(F.struct("id", "payload").alias("x"))
-    both = pool.select(F.col("x").alias("a")).join(F.broadcast(pool.select(F.col("x").alias("b"))), F.col("a.id") != F.col("b.id"))
-    nearer = anchored_vote(F.col("a"), F.col("b"), stars, judge, metric, share)
-    return both.groupBy(F.col("a.id").alias("id")).agg(F.sum((~nearer if want == "max" else nearer).cast("long")).alias("wins"))
+    """id, wins of a small pool where each question is a vote of the anchors (rows id, payload near the query)."""
+    rows, beats = _by_anchors(df, query_id, anchors, metric, judge, share, want)
+    return scores.round_robin(rows, None, None, beats).select("id", "wins")
 
 
 def farthest_coin_anchored(df: DataFrame, query_id: int, anchors: list, metric: Metric, judge: Judge, share: float = 0.5, seed: int = 7, t: int = 1, want: str = "max") -> DataFrame:
     """At least the largest distance less 6 alpha, if all anchors are within alpha: a sample and the winners of heats meet in a round robin.
 
-    Every comparison, in the heats too, is a vote of the anchors; no question is asked alone.
+    Every comparison, in the heats too, is a vote of the anchors; no question is asked alone. want = min gives the nearest record.
     """
-    measured = distances(df, query_id, metric)
-    n = measured.count()
-    stars = as_literal(anchors)
-    nearer = lambda x, y: anchored_vote(F.struct(x["id"].alias("id"), x["val"].alias("payload")), F.struct(y["id"].alias("id"), y["val"].alias("payload")), stars, judge, metric, share)
-    beats = (lambda x, y: ~nearer(x, y)) if want == "max" else nearer
-    rows = df.where(F.col("id") != query_id).select("id", F.col("payload").alias("val"))
-    dealt = sampling.deal_heats(rows, max(1, int(n**0.5)), t, seed).groupBy("round", "heat").agg(F.array_sort(F.collect_list(F.struct("pos", "id", "val"))).alias("entries"))
-    winners = dealt.select(extremum.array_bracket(F.col("entries"), judge, beats)["id"].alias("id"))
-    pool = sampling.draw(measured, math.ceil(math.sqrt(n)) * t, n, seed).select("id").unionByName(winners).distinct()
-    few = df.join(F.broadcast(pool.select("id")), "id", "left_semi")
-    scored = anchored_scores(few, query_id, anchors, metric, judge, share, want).join(measured, "id")
-    return scores.pick(scored, seed).select(F.col("id").alias("winner_id"), F.col("val").alias("winner_val"), F.col("wins").alias("win_score"))
+    rows, beats = _by_anchors(df, query_id, anchors, metric, judge, share, want)
+    found = extremum.robust_band(rows, judge, t=t, seed=seed, want=want, beats=beats).select("winner_id", "win_score", (F.col("questions") * len(anchors)).alias("questions"))
+    return found.join(distances(df, query_id, metric).withColumnsRenamed({"id": "winner_id", "val": "winner_val"}), "winner_id")
+
+
+def core_anchors(df: DataFrame, query_id: int, metric: Metric, judge: Judge, near: DataFrame, size: int, seed: int = 7) -> list:
+    """Anchors of a query from judged answers alone: the core, around the query, of the records `near` (id, payload), a cluster that holds it."""
+    query = df.where(F.col("id") == query_id).select("id", "payload").first()
+    return extract_core(near.where(F.col("id") != query_id), query, metric, judge, size + 1, seed)[1:]
 
 
 def batch_exact(df: DataFrame, queries: DataFrame, metric: Metric, want: str = "max") -> DataFrame:
-    """query_id, winner_id, winner_val for many queries at once; queries are a small set and broadcast."""
-    asked = F.broadcast(queries.select(F.col("id").alias("query_id"), F.col("payload").alias("q")))
-    gaps = df.join(asked, F.col("id") != F.col("query_id")).select("query_id", "id", metric(F.col("payload"), F.col("q")).alias("val"))
+    """query_id, winner_id, winner_val for many queries at once, by true distances; up to BROADCAST_ROWS queries are broadcast, more go in cells."""
+    asked = queries.select(F.col("id").alias("query_id"), F.col("payload").alias("q"))
+    gaps = scores.opponents(df.select("id", "payload"), asked, F.col("id") != F.col("query_id")).select("query_id", "id", metric(F.col("payload"), F.col("q")).alias("val"))
     best = F.max(F.struct("val", (-F.col("id")).alias("n"))) if want == "max" else F.min(F.struct("val", F.col("id").alias("n")))
     return gaps.groupBy("query_id").agg(best.alias("w")).select("query_id", (F.abs("w.n")).alias("winner_id"), F.col("w.val").alias("winner_val"))
+
+
+def batch_band(df: DataFrame, queries: DataFrame, metric: Metric, judge: Judge, t: int = 1, want: str = "max", seed: int = 7) -> DataFrame:
+    """The same by noisy answers: the robust search for all queries at once; heats and finalists are kept by query."""
+    asked = queries.select(F.col("id").alias("query_id"), F.col("payload").alias("q"))
+    gaps = scores.opponents(df.select("id", "payload"), asked, F.col("id") != F.col("query_id")).select("query_id", pair_id(F.col("query_id").cast("long"), F.col("id").cast("long")).alias("id"), metric(F.col("payload"), F.col("q")).alias("val"))
+    won = extremum.robust_band_by(gaps, "query_id", judge.on_pairs(), df.count() - 1, t, None, want, seed)
+    return won.withColumn("winner_id", F.when(F.col("winner_id.k1") == F.col("query_id"), F.col("winner_id.k2")).otherwise(F.col("winner_id.k1")))

@@ -23,10 +23,15 @@ def share(column: Column) -> Column:
     return column / float(COIN_RANGE)
 
 
-def draw(df: DataFrame, size: int, n: int, seed: int) -> DataFrame:
-    """As a multiset of `size` draws with replacement would hold them, each record is kept with probability 1 - (1 - 1/n)**size, by a map alone."""
+def drawn(size: int, n: int, seed: int) -> Column:
+    """Whether `size` draws with replacement would hold the record: true with probability 1 - (1 - 1/n)**size."""
     kept = 1 - (1 - 1 / max(1, n)) ** size
-    return df.where(coin(seed, F.lit("draw"), F.col("id")) < int(kept * COIN_RANGE))
+    return coin(seed, F.lit("draw"), F.col("id")) < int(kept * COIN_RANGE)
+
+
+def draw(df: DataFrame, size: int, n: int, seed: int) -> DataFrame:
+    """The records that draws with replacement would hold, each once, by a map alone."""
+    return df.where(drawn(size, n, seed))
 
 
 def draw_slots(df: DataFrame, size: int, n: int, seed: int) -> DataFrame:
@@ -49,8 +54,8 @@ def stratified(df: DataFrame, by: str, per_stratum: int, seed: int) -> DataFrame
     return df.withColumn("__n", F.row_number().over(order)).where(F.col("__n") <= per_stratum).drop("__n")
 
 
-def deal_heats(df: DataFrame, heats: int, rounds: int, seed: int) -> DataFrame:
-    """Every record once in each round, in one of `heats` parts of nearly equal size: round, heat, pos, id, val."""
-    dealt = df.select("id", "val", F.explode(F.sequence(F.lit(1), F.lit(rounds))).alias("round"))
+def deal_heats(df: DataFrame, heats: int, rounds: int, seed: int, marked: Column | None = None) -> DataFrame:
+    """Every record once in each round, in one of `heats` parts of nearly equal size: round, heat, pos, id, val, and the mark (in the first round)."""
+    dealt = df.select("id", "val", (F.lit(False) if marked is None else marked).alias("mark"), F.explode(F.sequence(F.lit(1), F.lit(rounds))).alias("round"))
     pos = coin(seed, F.lit("heat"), F.col("round"), F.col("id"))
-    return dealt.select("round", F.pmod(pos, F.lit(heats)).alias("heat"), pos.alias("pos"), "id", "val")
+    return dealt.select("round", F.pmod(pos, F.lit(heats)).alias("heat"), pos.alias("pos"), "id", "val", (F.col("mark") & (F.col("round") == 1)).alias("mark"))

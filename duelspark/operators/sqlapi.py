@@ -14,7 +14,7 @@ LIMIT = 100_000
 
 
 def register(spark: SparkSession, seed: int = 7) -> None:
-    """Adds round_robin_agg(id, val, mu) -> id, and robust_max(TABLE(...), mu) for tables (id, val) of at most LIMIT rows."""
+    """Adds round_robin_agg(id, val, mu) -> id, robust_max(TABLE(...), mu) for tables (id, val) of at most LIMIT rows, and line_linkage(TABLE(...) PARTITION BY key, mu)."""
 
     @pandas_udf("long")
     def round_robin_agg(ids: pd.Series, values: pd.Series, mu: pd.Series) -> int:
@@ -56,6 +56,28 @@ def register(spark: SparkSession, seed: int = 7) -> None:
 
     spark.udtf.register("robust_max", RobustMax)
 
+    @udtf(returnType="step int, left_id long, right_id long, size long, link_dist long")
+    class LineLinkage:
+        """Single linkage of positions on a line: rows (key, id, position), one hierarchy for each key (PARTITION BY)."""
+
+        def __init__(self) -> None:
+            self.items, self.mu = [], 0.0
+
+        def eval(self, row: T.Row, mu: float):
+            if len(self.items) >= 3000:
+                raise ValueError("line_linkage takes at most 3000 rows of a key")
+            self.items.append((row[1], row[2]))
+            self.mu = float(mu)
+
+        def terminate(self):
+            from .linkage import agglomerate, line
+
+            ids, positions = zip(*sorted(self.items), strict=True) if self.items else ((), ())
+            for step, left, right, _, size, _, _, dist, _, _ in agglomerate(list(ids), list(positions), line, Judge.band(self.mu, seed=seed)):
+                yield step, left, right, size, dist
+
+    spark.udtf.register("line_linkage", LineLinkage)
+
 
 def group_maxima(df, by: str, mu: float):
     """The winner of a round robin of every (small) group, by the aggregate."""

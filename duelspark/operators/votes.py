@@ -45,6 +45,36 @@ def core_vote(u: Column, center: Column, core: Column, judge: Judge, metric: Met
     return _passes(core_yes(u, center, core, judge, metric), F.size(core), share, inclusive)
 
 
+def items(id_: Column, payload: Column, members: Column, metric: Metric) -> Column:
+    """The hidden distances of a record to an array of members (id, payload), as items of a judge on pairs."""
+    return F.transform(members, lambda x: item(pair_id(id_, x["id"]), metric(payload, x["payload"])))
+
+
+def _count(said: Column) -> Column:
+    return F.aggregate(said, F.lit(0), lambda n, yes: n + yes.cast("int"))
+
+
+def nearer_by_anchors(xs: Column, ys: Column, judge: Judge, share: float = 0.5) -> Column:
+    """The anchors' vote from items of two records to the same anchors: is the first one nearer?"""
+    yes = _count(F.zip_with(xs, ys, judge.on_pairs().at_most))
+    return (F.size(xs) == 0) | _passes(yes, F.size(xs), share, True)
+
+
+def joins_core(new: Column, own: Column, judge: Judge, share: float = 0.5, inclusive: bool = False) -> Column:
+    """core_vote from items: `new` to the new center, `own` to the members of the present core."""
+    pairs = judge.on_pairs()
+    return _passes(_count(F.transform(own, lambda v: pairs.at_most(new, v))), F.size(own), share, inclusive)
+
+
+def nearer_by_cores(x: Column, y: Column, judge: Judge, share: float = 0.5) -> Column:
+    """cross_core_vote from structs (cur, near): the cluster, and the items to the members of its core, best first."""
+    pairs = judge.on_pairs()
+    small = lambda own: F.slice(own, 1, F.greatest(F.lit(1), F.floor(F.sqrt(F.size(own).cast("double"))).cast("int")))
+    crossed = F.flatten(F.transform(small(x["near"]), lambda p: F.transform(small(y["near"]), lambda q: pairs.at_most(p, q))))
+    said = F.when(x["cur"] == y["cur"], F.zip_with(x["near"], y["near"], pairs.at_most)).otherwise(crossed)
+    return F.aggregate(said, F.struct(F.lit(0).alias("yes"), F.lit(0).alias("all")), lambda n, yes: F.struct((n["yes"] + yes.cast("int")).alias("yes"), (n["all"] + 1).alias("all")), lambda n: _passes(n["yes"], n["all"], share, True))
+
+
 def cross_core_vote(u: Column, v: Column, same: Column, core_u: Column, small_u: Column, small_v: Column, judge: Judge, metric: Metric, share: float = 0.5) -> Column:
     """Is u nearer to its center than v to its own? With one center its whole core votes, else all pairs of the two small cores."""
     pairs = judge.on_pairs()

@@ -5,13 +5,22 @@ from __future__ import annotations
 import os
 import tempfile
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder all executors share, spark.checkpoint.dir. Only a session in one process may do without it; it takes a temporary one."""
+    found = spark.conf.get("spark.checkpoint.dir", None)
+    if not found:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        found = os.path.join(tempfile.gettempdir(), "duelspark-lineage")
+    return found.rstrip("/")
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """df as read from a checkpoint in the folder all executors share: spark.checkpoint.dir, or a temporary one where that is unset (tests)."""
+    """df as read from a checkpoint in the shared folder."""
     context = df.sparkSession.sparkContext
     if context.getCheckpointDir() is None:
-        configured = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(configured or os.path.join(tempfile.gettempdir(), "duelspark-lineage"))
+        context.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint()

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -10,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.ticks import ticks
 from ..operators.judges import Judge
+from ..plans.lineage import shared_folder
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 STATE = "pool array<struct<id: bigint, val: bigint>>, seen bigint"
@@ -63,7 +65,16 @@ def robust_maxima(events: DataFrame, judge: Judge, key: str = "event_type", pool
     return valued.groupBy(key).applyInPandasWithState(update, f"{key} string, winner_id long, winner_val long, seen long", STATE, "update", GroupStateTimeout.NoTimeout)
 
 
+def followed_by(events: DataFrame, first: str, then: str, within: str, delay: str = "1 hour") -> DataFrame:
+    """Pairs of events of one user, the second of type `then` at most so long after the first; state is dropped as the watermarks pass."""
+    side = lambda kind, s: events.where(F.col("event_type") == kind).select(F.col("event_id").alias(f"{s}_id"), F.col("user_id").alias(f"{s}_user"), F.col("ts").alias(f"{s}_ts")).withWatermark(f"{s}_ts", delay)
+    one, two = side(first, "a"), side(then, "b")
+    return one.join(two, F.expr(f"a_user = b_user AND b_ts BETWEEN a_ts AND a_ts + INTERVAL {within}")).select("a_id", "b_id")
+
+
 def run_to_end(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Runs all there is and returns the sink's table."""
-    stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start().awaitTermination()
-    return stream.sparkSession.table(name)
+    """Runs all there is into a table of Parquet files in the shared folder, and returns it: nothing is gathered on the driver."""
+    path = f"{shared_folder(stream.sparkSession)}/duelspark-{name}-{uuid.uuid4().hex}"
+    write = lambda batch, _: batch.write.mode("append").parquet(f"{path}/rows")
+    stream.writeStream.foreachBatch(write).outputMode(mode).option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start().awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{path}/rows")

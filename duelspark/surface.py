@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .functions import metrics
 from .functions.ticks import ticks
 from .operators import sqlapi
 from .operators.judges import Judge
@@ -100,10 +101,161 @@ def stream_window_max_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(f"SELECT event_type, max({TICK.format('value')}) AS best FROM events WHERE value IS NOT NULL GROUP BY event_type")
 def stream_robust_max(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The stateful robust maximum over a stream of the events, exact judge: the last row of each type."""
-    import uuid
-
-    stream = spark.readStream.schema(windows.EVENTS).option("pathGlobFilter", "events*.parquet").option("recursiveFileLookup", True).parquet(sf_dir)
-    sink = windows.run_to_end(windows.robust_maxima(stream, Judge.exact()), f"robust_{uuid.uuid4().hex}", "update")
+    sink = windows.run_to_end(windows.robust_maxima(_event_stream(spark, sf_dir), Judge.exact()), "robust", "update")
     return sink.groupBy("event_type").agg(F.max_by("winner_val", "seen").alias("best"))
 
 
+# --- the rest of the relational surface
+
+
+@query("SELECT x.o_orderkey AS a, y.o_orderkey AS b FROM orders x JOIN orders y ON x.o_custkey = y.o_custkey AND x.o_orderkey <> y.o_orderkey AND y.o_orderdate BETWEEN x.o_orderdate AND x.o_orderdate + INTERVAL 30 DAY")
+def ops_interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders with those the customer made in the 30 days after: an equi-join on the customer with an interval condition."""
+    orders = tables.table(spark, sf_dir, "orders").select("o_custkey", "o_orderkey", "o_orderdate")
+    within = F.col("y.o_orderdate").between(F.col("x.o_orderdate"), F.col("x.o_orderdate") + F.expr("INTERVAL 30 DAYS"))
+    both = orders.alias("x").join(orders.alias("y"), (F.col("x.o_custkey") == F.col("y.o_custkey")) & (F.col("x.o_orderkey") != F.col("y.o_orderkey")) & within)
+    return both.select(F.col("x.o_orderkey").alias("a"), F.col("y.o_orderkey").alias("b"))
+
+
+@query("SELECT coalesce(c_custkey, user_id) AS id, c_custkey IS NOT NULL AS customer, user_id IS NOT NULL AS visitor FROM customer FULL JOIN (SELECT DISTINCT user_id FROM events WHERE event_type = 'purchase') ON c_custkey = user_id")
+def ops_full_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    customer = tables.table(spark, sf_dir, "customer").select("c_custkey")
+    visitors = tables.table(spark, sf_dir, "events").where("event_type = 'purchase'").select("user_id").distinct()
+    both = customer.join(visitors, F.col("c_custkey") == F.col("user_id"), "full")
+    return both.select(F.coalesce("c_custkey", "user_id").alias("id"), F.col("c_custkey").isNotNull().alias("customer"), F.col("user_id").isNotNull().alias("visitor"))
+
+
+@query("SELECT c_custkey AS id FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 300000)")
+def ops_join_semi(spark: SparkSession, sf_dir: str) -> DataFrame:
+    dear = tables.table(spark, sf_dir, "orders").where("o_totalprice > 300000")
+    return tables.table(spark, sf_dir, "customer").join(dear, F.col("c_custkey") == F.col("o_custkey"), "left_semi").select(F.col("c_custkey").alias("id"))
+
+
+@query("SELECT c_custkey AS id FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 300000)")
+def ops_join_anti_dear(spark: SparkSession, sf_dir: str) -> DataFrame:
+    dear = tables.table(spark, sf_dir, "orders").where("o_totalprice > 300000")
+    return tables.table(spark, sf_dir, "customer").join(dear, F.col("c_custkey") == F.col("o_custkey"), "left_anti").select(F.col("c_custkey").alias("id"))
+
+
+@query("SELECT o_custkey, count(*) FILTER (WHERE o_orderstatus = 'F') AS done, count(*) AS n FROM orders GROUP BY o_custkey HAVING count(*) >= 12")
+def ops_filter_having(spark: SparkSession, sf_dir: str) -> DataFrame:
+    tables.table(spark, sf_dir, "orders").createOrReplaceTempView("v_orders")
+    return spark.sql("SELECT o_custkey, count(*) FILTER (WHERE o_orderstatus = 'F') AS done, count(*) AS n FROM v_orders GROUP BY o_custkey HAVING count(*) >= 12")
+
+
+SUBQUERY = "SELECT o_orderkey AS id FROM {0} o WHERE o_totalprice > (SELECT avg(o_totalprice) * 1.5 FROM {0} i WHERE i.o_custkey = o.o_custkey) AND o_custkey IN (SELECT c_custkey FROM {1} WHERE c_mktsegment = 'BUILDING')"
+
+
+@query(SUBQUERY.format("orders", "customer"))
+def ops_subqueries(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A correlated scalar subquery and an IN subquery: both become joins."""
+    for name in ("orders", "customer"):
+        tables.table(spark, sf_dir, name).createOrReplaceTempView(f"v_{name}")
+    return spark.sql(SUBQUERY.format("v_orders", "v_customer"))
+
+
+@query("SELECT TRUE AS distinct_near, TRUE AS median_near")
+def ops_approximate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sketches against exact counts: distinct parts within 10 %, the median price at a rank within 2 % of one half."""
+    df = tables.table(spark, sf_dir, "lineitem")
+    got = df.agg(F.approx_count_distinct("l_partkey", 0.02).alias("about"), F.countDistinct("l_partkey").alias("exact"), F.percentile_approx("l_extendedprice", 0.5, 1000).alias("median"))
+    ranked = df.crossJoin(F.broadcast(got)).groupBy("about", "exact").agg(F.avg((F.col("l_extendedprice") <= F.col("median")).cast("double")).alias("rank"))
+    return ranked.select((F.abs(F.col("about") - F.col("exact")) <= 0.1 * F.col("exact")).alias("distinct_near"), (F.abs(F.col("rank") - 0.5) <= 0.02).alias("median_near"))
+
+
+@query("SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+def ops_map(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts by type gathered to one map for each user and taken apart again."""
+    counts = tables.table(spark, sf_dir, "events").groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
+    maps = counts.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    return maps.select("user_id", F.explode(F.map_filter("m", lambda _, n: n > 0)).alias("event_type", "n"))
+
+
+GROUPING = "SELECT o_orderstatus, o_orderpriority, GROUPING(o_orderstatus) AS no_status, count(*) AS n FROM {} GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority), ())"
+
+
+@query(GROUPING.format("orders"))
+def ops_grouping_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    tables.table(spark, sf_dir, "orders").createOrReplaceTempView("v_orders")
+    return spark.sql(GROUPING.format("v_orders")).withColumn("no_status", F.col("no_status").cast("long"))
+
+
+@query("SELECT p_partkey, 'size' AS name, CAST(p_size AS BIGINT) AS value FROM part UNION ALL SELECT p_partkey, 'cents', CAST(floor(p_retailprice * 100) AS BIGINT) FROM part")
+def ops_unpivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    part = tables.table(spark, sf_dir, "part").select("p_partkey", F.col("p_size").cast("long").alias("size"), F.floor(F.col("p_retailprice") * 100).cast("long").alias("cents"))
+    return part.unpivot("p_partkey", ["size", "cents"], "name", "value")
+
+
+@query("SELECT s_suppkey, rank() OVER w AS place, dense_rank() OVER w AS dense, ntile(4) OVER (PARTITION BY s_nationkey ORDER BY s_acctbal, s_suppkey) AS quarter, first_value(s_suppkey) OVER (PARTITION BY s_nationkey ORDER BY s_acctbal, s_suppkey) AS poorest, lead(s_suppkey) OVER (PARTITION BY s_nationkey ORDER BY s_acctbal, s_suppkey) AS next FROM supplier WINDOW w AS (PARTITION BY s_nationkey ORDER BY floor(s_acctbal / 1000))")
+def ops_rank_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    tied, order = W.partitionBy("s_nationkey").orderBy(F.floor(F.col("s_acctbal") / 1000)), W.partitionBy("s_nationkey").orderBy("s_acctbal", "s_suppkey")
+    long = lambda c: c.cast("long")
+    return tables.table(spark, sf_dir, "supplier").select("s_suppkey", long(F.rank().over(tied)).alias("place"), long(F.dense_rank().over(tied)).alias("dense"), long(F.ntile(4).over(order)).alias("quarter"), F.first("s_suppkey").over(order).alias("poorest"), F.lead("s_suppkey").over(order).alias("next"))
+
+
+@query("SELECT o_custkey, o_orderkey, CAST(sum(floor(o_totalprice)) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS last_three, count(*) OVER (PARTITION BY o_custkey ORDER BY CAST(o_orderdate AS DATE) - DATE '1970-01-01' RANGE BETWEEN 90 PRECEDING AND CURRENT ROW) AS quarter FROM orders")
+def ops_frames(spark: SparkSession, sf_dir: str) -> DataFrame:
+    day = F.unix_date(F.to_date("o_orderdate"))
+    rows, span = W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey").rowsBetween(-2, 0), W.partitionBy("o_custkey").orderBy(day).rangeBetween(-90, 0)
+    return tables.table(spark, sf_dir, "orders").select("o_custkey", "o_orderkey", F.sum(F.floor("o_totalprice")).over(rows).cast("long").alias("last_three"), F.count("*").over(span).alias("quarter"))
+
+
+@query("SELECT o_custkey AS id FROM orders UNION SELECT user_id FROM events")
+def ops_union(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tables.table(spark, sf_dir, "orders").select(F.col("o_custkey").alias("id")).union(tables.table(spark, sf_dir, "events").select("user_id")).distinct()
+
+
+@query("SELECT user_id AS id FROM events EXCEPT SELECT o_custkey FROM orders WHERE o_totalprice > 300000")
+def ops_except(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tables.table(spark, sf_dir, "events").select(F.col("user_id").alias("id")).subtract(tables.table(spark, sf_dir, "orders").where("o_totalprice > 300000").select("o_custkey"))
+
+
+@query("SELECT p_partkey AS id, token FROM (SELECT p_partkey, unnest(regexp_split_to_array(lower(p_name), '[^a-z0-9]+')) AS token FROM part) WHERE token <> ''")
+def ops_lateral(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A lateral join with a generator."""
+    tables.table(spark, sf_dir, "part").createOrReplaceTempView("v_part")
+    return spark.sql("SELECT p_partkey AS id, token FROM v_part, LATERAL explode(split(lower(p_name), '[^a-z0-9]+')) AS t(token) WHERE token <> ''")
+
+
+@query(f"SELECT o_orderkey AS id, {TICK.format('o_totalprice')} AS val FROM orders WHERE o_orderpriority = '1-URGENT' AND o_totalprice > 200000")
+def ops_parameters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """SQL with parameter markers; the filter reaches the scan."""
+    tables.table(spark, sf_dir, "orders").createOrReplaceTempView("v_orders")
+    return spark.sql("SELECT o_orderkey AS id, CAST(floor(o_totalprice * 1e6) AS BIGINT) AS val FROM v_orders WHERE o_orderpriority = :p AND o_totalprice > :least", args={"p": "1-URGENT", "least": 200000})
+
+
+@query("SELECT a.p_partkey AS id, abs(a.p_size - b.p_size) AS gap FROM part a, (SELECT p_size FROM part WHERE p_partkey = 1) b")
+def ops_custom_metric(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A metric that a user gives as a vectorised Python function."""
+    df = tables.table(spark, sf_dir, "part").select(F.col("p_partkey").alias("id"), F.col("p_size").alias("payload"))
+    metric = metrics.custom(lambda a, b: (a - b).abs())
+    query_row = df.where("id = 1").select(F.col("payload").alias("q"))
+    return df.crossJoin(F.broadcast(query_row)).select("id", metric(F.col("payload"), F.col("q")).cast("int").alias("gap"))
+
+
+@query(f"SELECT d AS link_dist, count(*) AS n FROM (SELECT lead(v) OVER (PARTITION BY k ORDER BY v) - v AS d FROM (SELECT c_nationkey AS k, {TICK.format('(c_acctbal + 1000)')} AS v FROM customer)) WHERE d IS NOT NULL GROUP BY d")
+def sql_linkage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The table function for hierarchies, one for each nation's customers."""
+    sqlapi.register(spark, SEED)
+    tables.table(spark, sf_dir, "customer").select(F.col("c_nationkey").alias("k"), F.col("c_custkey").alias("id"), ticks(F.col("c_acctbal") + 1000).alias("v")).createOrReplaceTempView("v_balances")
+    return spark.sql("SELECT link_dist, count(*) AS n FROM line_linkage(TABLE(SELECT k, id, v FROM v_balances) PARTITION BY (k), CAST(0.0 AS DOUBLE)) GROUP BY link_dist")
+
+
+@query("SELECT count(DISTINCT event_id) AS events, CAST(sum(twice) AS BIGINT) AS twice FROM (SELECT event_id, count(*) - 1 AS twice FROM events GROUP BY event_id)")
+def stream_dedup_late(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every event is sent twice, and comes out once; late copies inside the watermark are known too."""
+    stream = _event_stream(spark, sf_dir)
+    twice = stream.unionByName(stream)
+    kept = windows.deduplicated(twice, "20000 days")
+    return windows.run_to_end(kept.select("event_id"), "dedup", "append").agg(F.countDistinct("event_id").alias("events"), (F.count("*") - F.countDistinct("event_id")).alias("twice"))
+
+
+@query("SELECT count(*) AS pairs FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR")
+def stream_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A stream joined with a stream: views and the purchases of the same user in the hour after."""
+    joined = windows.followed_by(_event_stream(spark, sf_dir), "view", "purchase", "1 hour", "20000 days")
+    return windows.run_to_end(joined, "followed", "append").agg(F.count("*").alias("pairs"))
+
+
+def _event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.readStream.schema(windows.EVENTS).option("pathGlobFilter", "events*.parquet").option("recursiveFileLookup", True).parquet(sf_dir)

@@ -564,12 +564,12 @@ def linkage_parallel_rounds(spark, sf_dir):
     return linkage.parallel_rounds(edges).agg(F.sum("dist").alias("total"))
 
 
-@query("""WITH t AS (SELECT p_partkey AS id, unnest(list_distinct(list_filter(regexp_split_to_array(lower(p_brand || ' ' || p_name), '[^a-z0-9]+'), lambda x: x <> ''))) AS token FROM part),
-r AS (SELECT token FROM t GROUP BY token HAVING count(*) BETWEEN 2 AND 200), k AS (SELECT t.* FROM t JOIN r USING (token))
-SELECT x.id AS a, y.id AS b, count(*) AS common FROM k x JOIN k y ON x.token = y.token AND x.id < y.id GROUP BY 1, 2 HAVING count(*) >= 1""")
+@query("""WITH t AS (SELECT p_partkey AS id, unnest(list_distinct(list_filter(regexp_split_to_array(lower(p_brand || ' ' || p_name), '[^a-z0-9]+'), lambda x: x <> ''))) AS token FROM part)
+SELECT x.id AS a, y.id AS b, count(*) AS common FROM t x JOIN t y ON x.token = y.token AND x.id < y.id GROUP BY 1, 2 HAVING count(*) >= 2""")
 def token_block_pairs(spark, sf_dir):
+    """Parts that share two tokens or more."""
     df = tables.table(spark, sf_dir, "part").select(F.col("p_partkey").alias("id"), F.concat_ws(" ", "p_brand", "p_name").alias("words"))
-    return blocking.token_pairs(df, "words", 200)
+    return blocking.token_pairs(df, "words", 2)
 
 
 # --- how judges err
@@ -748,7 +748,7 @@ def sweep_assign_exact(spark, sf_dir):
     size = kcenter.core_size(df.count(), DELTA)
     cores = [kcenter.extract_core(df.where(F.col("truth") == c["truth"]), c, metric, Judge.exact(), size, SEED) for c in centers]
     label = F.array(*(F.lit(c["truth"]) for c in centers))
-    swept = kcenter.sweep_assign(df, centers, cores, metric, Judge.exact()).join(df.select("id", "truth"), "id")
+    swept = kcenter.sweep_assign(df, cores, metric, Judge.exact()).join(df.select("id", "truth"), "id")
     return held(swept, F.get(label, F.col("cur")) == F.col("truth"))
 
 
