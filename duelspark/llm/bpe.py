@@ -31,16 +31,16 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
-from itertools import islice
 
 import numpy as np
 import pyarrow as pa
 import regex
+import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import materialise, slices, unmaterialise
+from .common import give_back, materialise, slices, unmaterialise
 
 NEVER = 1 << 17  # rank of a pair that is no token
 EMPTY = -1  # as an unsigned number its left id is 65,535, which no vocabulary here has
@@ -270,10 +270,18 @@ def frequent_words(counts: DataFrame, remembered: int) -> DataFrame:
 
 
 class Numbers(dict):
-    """Numbers words in the order in which they are asked for."""
+    """The numbers of a block's words: those of remembered words are given, new words follow in the order in which they are asked for."""
+
+    def __init__(self, remembered: dict[str, int]):
+        super().__init__()
+        self.remembered, self.new = remembered, []
 
     def __missing__(self, word: str) -> int:
-        self[word] = number = len(self)
+        number = self.remembered.get(word)
+        if number is None:
+            number = len(self.remembered) + len(self.new)
+            self.new.append(word)
+        self[word] = number
         return number
 
 
@@ -324,10 +332,10 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         remembered, vocabulary, merger = before.value
         split, common = Splitter(pattern), dict(zip(remembered.to_pylist(), range(len(remembered)), strict=True))
-        numbers, ids, texts, total = Numbers(common), [], [], 0
+        numbers, ids, texts, total, pack = Numbers(common), [], [], 0, zstandard.ZstdCompressor(1).compress
 
         def block() -> Iterator[pa.RecordBatch]:
-            new = [*islice(numbers, len(common), None)]
+            new = numbers.new
             for k in range(0, max(len(new), 1), CHUNK):
                 opened = merger.opened([w.encode() for w in new[k : k + CHUNK]], longest, vocabulary.merge)
                 words = pa.ListArray.from_arrays(pa.array([0, len(opened)], pa.int32()), opened)
@@ -340,17 +348,19 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
             for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 found = split(text.as_py())
                 ids.append(doc_id)
-                texts.append(np.fromiter(map(numbers.__getitem__, found), "<u4", len(found)).tobytes())
+                texts.append(pack(np.fromiter(map(numbers.__getitem__, found), "<u4", len(found))))
                 total += len(found)
-                if len(numbers) - len(common) >= distinct or total >= 2_500_000:
+                if len(numbers.new) >= distinct or total >= 2_500_000:
                     yield from block()
                     numbers, ids, texts, total = Numbers(common), [], [], 0
+                    give_back()
         if ids:
             yield from block()
-        pa.default_memory_pool().release_unused()
+        give_back()
 
     def put(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, lengths, pieces = after.value
+        unpack = zstandard.ZstdDecompressor().decompress
         piece_bytes, piece_lengths = np.frombuffer(b"".join(pieces), np.uint8), np.array([len(p) for p in pieces], np.int64)
         piece_starts, parts, table = np.cumsum(piece_lengths) - piece_lengths, [(known, lengths)], None
         for batch in batches:
@@ -367,7 +377,7 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
                     table, parts = (flat, np.cumsum(each) - each, each), []
                 for k in range(i, j, 500):
                     part = batch.slice(k, min(500, j - k))
-                    raw = part.column(1).to_pylist()
+                    raw = [unpack(x.as_buffer()) for x in part.column(1)]
                     ids, ends = spread(*table, np.frombuffer(b"".join(raw), "<u4"))
                     ends = np.append(0, ends)[np.cumsum([len(x) // 4 for x in raw])]
                     columns = [part.column(0), binaries(ids.astype("<u4"), 4 * ends)]
@@ -375,7 +385,7 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
                         texts, ends_of = spread(piece_bytes, piece_starts, piece_lengths, ids)
                         columns.append(binaries(texts, np.append(0, ends_of)[ends]))
                     yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "ids", "decoded"][: len(columns)])
-        pa.default_memory_pool().release_unused()
+            give_back()
 
     numbered = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(cut, "doc_id long, numbers binary, words array<array<bigint>>, fresh string")
     folded = numbered.select("doc_id", "numbers", F.when(F.col("words").isNotNull(), merger.fold(F.col("words"), F.col("fresh"))).alias("words"))
