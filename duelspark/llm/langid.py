@@ -172,10 +172,10 @@ def identify(documents: DataFrame, model: Model, keep: DataFrame | None = None)
     return wanted.mapInArrow(judge, SCHEMA)
 
 
-def accepted(documents: DataFrame, model: Model, least: float = 0.5) -> DataFrame:
-    """The documents, all columns, that have a language by at least this score; `und` goes. Works on each row by itself, so repeated or null ids are no matter."""
+def accepted(documents: DataFrame, model: Model, least: float | None = None) -> DataFrame:
+    """The documents, all columns, that have a language by at least this score, by default that of an even guess; `und` goes. Works on each row by itself, so repeated or null ids are no matter."""
     shared = documents.sparkSession.sparkContext.broadcast(model)
-    names = documents.columns
+    names, least = documents.columns, 1 / max(1, len(model.languages)) if least is None else least
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
