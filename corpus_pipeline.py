@@ -11,7 +11,7 @@ from duelspark.llm.common import materialise, table, unmaterialise
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter, or without a language by a score of at least one half, go."""
+    """Documents without a letter, or whose language scores below an even guess, go."""
     return langid.accepted(docs, langid.train(docs))
 
 
