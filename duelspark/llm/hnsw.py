@@ -173,9 +173,17 @@ def usable(vector: Column) -> Column:
     return vector.isNotNull() & F.coalesce(finite, F.lit(False)) & F.exists(vector, lambda x: x != 0)
 
 
+def vectors_of(embeddings: DataFrame) -> DataFrame:
+    """id, v: the usable vectors in their own precision; of rows that repeat an id the smallest vector counts, once."""
+    kind = dict(embeddings.dtypes)["embedding"]
+    v = F.col("embedding").cast(kind if kind in ("array<float>", "array<double>") else "array<double>")
+    return embeddings.select(F.col("vec_id").cast("long").alias("id"), v.alias("v")).where(F.col("id").isNotNull() & usable(F.col("v"))).groupBy("id").agg(F.min("v").alias("v"))
+
+
 def index(embeddings: DataFrame, graph: Graph) -> DataFrame:
-    """shard, dim, ids (array of arrays: the smallest ids of each point), points (float32 bytes), levels (array of structs of flat arrays)."""
-    vectors = embeddings.select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<float>").alias("v")).where(F.col("id").isNotNull() & usable(F.col("v")))
+    """shard, dim, ids (array of arrays: the smallest ids of each point), points (bytes of the vectors' own precision), levels (array of structs of flat arrays)."""
+    vectors = vectors_of(embeddings)
+    precision = np.float64 if dict(vectors.dtypes)["v"] == "array<double>" else np.float32
     rank = F.row_number().over(W.partitionBy("v").orderBy("id"))
     points = vectors.withColumn("rank", rank).where(F.col("rank") <= graph.k + 1).groupBy("v").agg(F.array_sort(F.collect_list("id")).alias("ids"))  # k + 1 ids at most
     points = materialise(points.withColumn("dim", F.size("v")), "points")
@@ -189,8 +197,8 @@ def index(embeddings: DataFrame, graph: Graph) -> DataFrame:
     def make(group: pa.Table) -> pa.Table:
         group = group.combine_chunks().sort_by([("first", "ascending")])
         dim = group["dim"][0].as_py()
-        x = group["v"].combine_chunks().flatten().to_numpy().reshape(-1, dim).astype(np.float32)
-        levels = build(x, graph)
+        x = group["v"].combine_chunks().flatten().to_numpy().reshape(-1, dim).astype(precision)
+        levels = build(x.astype(np.float32), graph)
         row = {"dim": dim, "shard": group["shard"][0].as_py(), "ids": group["ids"].to_pylist(), "points": x.tobytes(), "levels": [{"ids": i, "near": n.ravel()} for i, n in levels]}
         return pa.Table.from_pylist([row], schema=kinds)
 
@@ -201,41 +209,40 @@ def index(embeddings: DataFrame, graph: Graph) -> DataFrame:
 def nearest(embeddings: DataFrame, every: int = 100, graph: Graph = Graph()) -> DataFrame:
     """query_id, rank, vec_id, score: for each vector whose id `every` divides, its nearest other vectors."""
     graphs = index(embeddings, graph)
-    asked = embeddings.select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<float>").alias("v")).where((F.col("id") % every == 0) & usable(F.col("v"))).withColumn("dim", F.size("v"))
-    sizes = {r["dim"]: r["n"] for r in asked.groupBy("dim").agg(F.count("*").alias("n")).collect()}
-    blocks = F.lit(1)
-    for dim, n in sizes.items():
-        blocks = F.when(F.col("dim") == dim, max(1, -(-n // graph.block))).otherwise(blocks)
-    blocked = asked.withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).groupBy("dim", "block").agg(F.collect_list(F.struct("id", "v")).alias("queries"))
-    # a block of queries (bounded) meets every shard of its dimension
-    pairs = blocked.join(graphs, "dim").select("queries", "dim", "ids", "points", "levels")
-
-    def answer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for i in range(batch.num_rows):
-                queries, dim = batch.column(0)[i].values, batch.column(1)[i].as_py()
-                q_ids, q = queries.field("id").to_numpy(), queries.field("v").flatten().to_numpy().reshape(-1, dim).astype(np.float32)
-                own, points = batch.column(2)[i].values, np.frombuffer(batch.column(3)[i].as_buffer(), np.float32).reshape(-1, dim)
-                n = len(points)
-                levels = [(np.asarray(x["ids"].values), np.asarray(x["near"].values).reshape(len(x["ids"]), -1)) for x in batch.column(4)[i].values]
-                found = search(points, levels, q, graph.k + 6, graph.beam)
-                r, c = np.nonzero(found >= 0)
-                at = found[r, c]
-                score = np.sqrt(((points[at].astype(np.float64) - q[r].astype(np.float64)) ** 2).sum(axis=1))
-                starts, flat = np.asarray(own.offsets), np.asarray(own.values)
-                length = np.diff(starts)[at]
-                ends = np.cumsum(length)
-                ids = flat[np.repeat(starts[at], length) + np.arange(ends[-1] if len(ends) else 0) - np.repeat(ends - length, length)]
-                who, score = np.repeat(q_ids[r], length), np.repeat(score, length)
-                keep = who != ids
-                who, ids, score = who[keep], ids[keep], score[keep]
-                order = np.lexsort((ids, score, who))
-                who, ids, score = who[order], ids[order], score[order]
-                first = np.searchsorted(who, who)
-                top = np.arange(len(who)) - first < graph.k
-                assert n == len(own)
-                yield pa.RecordBatch.from_arrays([pa.array(who[top], pa.int64()), pa.array(ids[top], pa.int64()), pa.array(score[top], pa.float64())], names=["query_id", "vec_id", "score"])
-
-    answers = pairs.repartition(F.xxhash64("points", "queries")).mapInArrow(answer, "query_id long, vec_id long, score double")
+    asked = vectors_of(embeddings).where(F.col("id") % every == 0).withColumn("dim", F.size("v"))
+    precision = np.float64 if dict(asked.dtypes)["v"] == "array<double>" else np.float32
+    sizes = {r["dim"]: r["n"] for r in asked.groupBy("dim").agg(F.count("*").alias("n")).collect()}  # a row for each length of vectors
+    shards = {r["dim"]: r["n"] for r in graphs.groupBy("dim").agg(F.count("*").alias("n")).collect()}
+    by_dim = lambda values: F.coalesce(*(F.when(F.col("dim") == d, v) for d, v in values.items()), F.lit(1))
+    parts = by_dim({d: max(1, -(-n // graph.block)) for d, n in sizes.items()})
+    # a part of the queries (bounded) meets every shard of its dimension; shards are sent to each part, once
+    dealt = asked.withColumn("part", F.pmod(F.xxhash64("id"), parts).cast("int")).select("dim", "part", "id", "v", F.explode(F.sequence(F.lit(0), by_dim(shards) - 1)).alias("shard"))
+    wide = graphs.withColumn("part", F.explode(F.sequence(F.lit(0), parts - 1)))
+
+    def answer(queries: pa.Table, shard: pa.Table) -> pa.Table:
+        if not queries.num_rows or not shard.num_rows:
+            return pa.table({"query_id": pa.array([], pa.int64()), "vec_id": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
+        dim = queries["dim"][0].as_py()
+        q_ids, q = queries["id"].to_numpy(), queries["v"].combine_chunks().flatten().to_numpy().reshape(-1, dim)
+        own, points = shard["ids"][0].values, np.frombuffer(shard["points"][0].as_buffer(), precision).reshape(-1, dim)
+        levels = [(np.asarray(x["ids"].values), np.asarray(x["near"].values).reshape(len(x["ids"]), -1)) for x in shard["levels"][0].values]
+        found = search(points.astype(np.float32), levels, q.astype(np.float32), graph.k + 6, graph.beam)
+        r, c = np.nonzero(found >= 0)
+        at = found[r, c]
+        score = np.sqrt(((points[at].astype(np.float64) - q[r].astype(np.float64)) ** 2).sum(axis=1))
+        starts, flat = np.asarray(own.offsets), np.asarray(own.values)
+        length = np.diff(starts)[at]
+        ends = np.cumsum(length)
+        ids = flat[np.repeat(starts[at], length) + np.arange(ends[-1] if len(ends) else 0) - np.repeat(ends - length, length)]
+        who, score = np.repeat(q_ids[r], length), np.repeat(score, length)
+        keep = who != ids
+        who, ids, score = who[keep], ids[keep], score[keep]
+        order = np.lexsort((ids, score, who))
+        who, ids, score = who[order], ids[order], score[order]
+        top = np.arange(len(who)) - np.searchsorted(who, who) < graph.k
+        return pa.table({"query_id": pa.array(who[top], pa.int64()), "vec_id": pa.array(ids[top], pa.int64()), "score": pa.array(score[top], pa.float64())})
+
+    key = ("dim", "shard", "part")
+    answers = dealt.groupBy(*key).cogroup(wide.groupBy(*key)).applyInArrow(answer, "query_id long, vec_id long, score double")
     ranked = answers.withColumn("rank", F.row_number().over(W.partitionBy("query_id").orderBy("score", "vec_id")))
     return ranked.where(F.col("rank") <= graph.k).select("query_id", "rank", "vec_id", "score")
