@@ -23,15 +23,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialise, unmaterialise
+from .common import join_hot, materialise, unmaterialise
 
 PARTS, PART_ROWS = 64, 100_000
+HOT = 1000  # a key that more than this part of all rows have is hot
 
 
 def propagate(nodes: DataFrame, links: DataFrame, shards: int, rounds: int = 4, slack: float = 0.02) -> DataFrame:
     """nodes (id), links (a, b) -> id, shard, lead (smallest of a node and its neighbours, null if unlinked), size (of the lead's group, null for small ones)."""
     both = materialise(links.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(links.select(F.col("b").alias("u"), F.col("a").alias("v"))).where("u <> v"), "links")
     quota = nodes.count() / shards
+    hubs = materialise(both.groupBy("v").agg(F.count("*").alias("n")).where(F.col("n") > max(100, both.count() // HOT)).select("v"), "hubs")  # fewer than HOT
     seeds = both.groupBy("u").agg(F.min("v").alias("v"))
     start = nodes.join(seeds, nodes["id"] == seeds["u"], "left").select("id", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int").alias("shard"), F.least("u", "v").alias("lead"))
     start = materialise(start.withColumn("lead", F.when(F.col("lead").isNotNull(), F.least("id", "lead"))), "labels")
@@ -42,7 +44,8 @@ def propagate(nodes: DataFrame, links: DataFrame, shards: int, rounds: int = 4,
     for turn in range(rounds):
         load = {(r["shard"], r["wide"]): r["n"] for r in labels.where("lead IS NOT NULL").groupBy("shard", wide.alias("wide")).agg(F.count("*").alias("n")).collect()}
         heard = F.col("v") < F.col("u") if turn % 2 == 0 else F.col("v") > F.col("u")
-        votes = both.join(labels.select(F.col("id").alias("v"), F.col("shard").alias("to")), "v").groupBy("u", "to").agg(F.sum(heard.cast("int")).alias("gain"), F.count("*").alias("all"))
+        of = labels.select(F.col("id").alias("v"), F.col("shard").alias("to"))
+        votes = join_hot(both, of, ["v"], of.join(F.broadcast(hubs), "v", "left_semi"), F.col("u")).groupBy("u", "to").agg(F.sum(heard.cast("int")).alias("gain"), F.count("*").alias("all"))
         mine = votes.join(labels.select(F.col("id").alias("u"), "shard", wide.alias("wide")), "u")
         wish = mine.groupBy("u", "shard", "wide").agg(F.max(F.when(F.col("to") != F.col("shard"), F.struct("gain", (-F.col("to")).alias("to")))).alias("m"), F.coalesce(F.max(F.when(F.col("to") == F.col("shard"), F.col("all"))), F.lit(0)).alias("kept"))
         moves = materialise(wish.where("m.gain > kept").select("u", "shard", "wide", (-F.col("m.to")).alias("to")), "moves")
@@ -55,6 +58,7 @@ def propagate(nodes: DataFrame, links: DataFrame, shards: int, rounds: int = 4,
         unmaterialise(old)
         unmaterialise(moves)
     unmaterialise(both)
+    unmaterialise(hubs)
     return labels
 
 
@@ -86,13 +90,13 @@ def level(labels: DataFrame, shards: int) -> DataFrame:
     """
     n = labels.count()
     parts = max(PARTS, -(-n // (shards * PART_ROWS)))
-    size = F.coalesce("size", F.lit(0))
+    size, part_rows = F.coalesce("size", F.lit(0)), min(PART_ROWS, max(256, n // (shards * PARTS)))
     tier = F.when(F.col("lead").isNull(), 3).when(size > n / shards, 2).when(size > PART_ROWS, 1).otherwise(0)
     dealt = lambda c, key: F.pmod(F.xxhash64(c, F.lit(key)), F.lit(parts))
     tiers = labels.withColumn("tier", tier).withColumn("part", F.when(F.col("tier") == 3, dealt("id", "part")).when(F.col("tier") == 0, dealt("lead", "part")).otherwise(F.col("lead")))
-    piece = F.when(F.col("tier").isin(1, 2), F.pmod(F.xxhash64("id", F.lit("piece")), F.ceil(size / PART_ROWS))).otherwise(F.lit(0))
+    piece = F.when(F.col("tier").isin(1, 2), F.pmod(F.xxhash64("id", F.lit("piece")), F.ceil(size / part_rows))).otherwise(F.lit(0))
     parted, key = tiers.withColumn("piece", piece), ["shard", "tier", "part", "piece"]
-    counts = parted.groupBy(*key).agg(F.count("*").alias("n"))  # a row for about PART_ROWS records, and 2 x PARTS x shards at least
+    counts = parted.groupBy(*key).agg(F.count("*").alias("n"))  # a row for about part_rows records, and 2 x PARTS x shards at least
     before = counts.select(*key, (F.sum("n").over(W.partitionBy("shard").orderBy("tier", "part", "piece").rowsBetween(W.unboundedPreceding, 0)) - F.col("n")).alias("before"))
     ranked = parted.withColumn("within", F.row_number().over(W.partitionBy(*key).orderBy("lead", "id"))).join(F.broadcast(before), key).withColumn("rank", F.col("before") + F.col("within") - 1)
     load = {r["shard"]: r["n"] for r in counts.groupBy("shard").agg(F.sum("n").alias("n")).collect()}
@@ -116,9 +120,12 @@ def shard_texts(documents: DataFrame, shards: int = 24, rounds: int = 4) -> Data
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), (F.octet_length(text) + 8).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("same"), F.monotonically_increasing_id().alias("id"))
     nodes = materialise(rows, "nodes")  # ids are fixed by being written
-    first = nodes.groupBy("same", "size", "text_crc32").agg(F.min("id").alias("b"), F.count("*").alias("n")).where("n > 1").drop("n")
-    links = nodes.join(first, ["same", "size", "text_crc32"]).where("id <> b").select(F.col("id").alias("a"), "b")
+    key = ["same", "size", "text_crc32"]
+    first = materialise(nodes.groupBy(*key).agg(F.min("id").alias("b"), F.count("*").alias("n")).where("n > 1"), "firsts")
+    hot = first.where(F.col("n") > max(100, nodes.count() // HOT)).drop("n")  # fewer than HOT texts
+    links = join_hot(nodes, first.drop("n"), key, hot, F.col("id")).where("id <> b").select(F.col("id").alias("a"), "b")
     labels = propagate(nodes.select("id"), links, shards, rounds)
+    unmaterialise(first)
     placed = level(labels, shards)
     return nodes.join(placed, "id").select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
