@@ -138,7 +138,7 @@ def robust_band(df: DataFrame, judge: Judge, delta: float = 0.1, t: int | None =
 
 
 def robust_band_by(df: DataFrame, by: str, judge: Judge, n: int, t: int = 1, heats: int | None = None, want: str = "max", seed: int = 7) -> DataFrame:
-    """by, winner_id, winner_val, questions: the robust search for many sets (by, id, val) of about n records at once.
+    """by, winner_id, winner_val, pool_size, questions: the robust search for many sets (by, id, val) of about n records at once.
 
     One shuffle deals the records to (set, round, heat), one gathers the finalists of each set, about 2 sqrt(n) t, which then meet in
     an array; so every task holds one heat or one set's finalists.
@@ -155,7 +155,7 @@ def robust_band_by(df: DataFrame, by: str, judge: Judge, n: int, t: int = 1, hea
 
 
 def round_robin_by(df: DataFrame, by: str, judge: Judge, want: str = "max", seed: int = 7) -> DataFrame:
-    """by, winner_id, winner_val, questions: all pairs of each small set (by, id, val)."""
+    """by, winner_id, winner_val, pool_size, questions: all pairs of each small set (by, id, val)."""
     directed = _directed(judge, want)
     pool = df.groupBy(by).agg(F.array_sort(F.collect_list(item(F.col("id"), F.col("val")))).alias("pool"))
     return _champions(pool.withColumn("asked", F.lit(0)), by, directed, seed)
@@ -165,13 +165,13 @@ def _champions(pool: DataFrame, by: str, directed: Judge, seed: int) -> DataFram
     wins = lambda x: F.aggregate("pool", F.lit(0), lambda s, y: s + ((x["id"] != y["id"]) & directed.beats(x, y)).cast("int"))
     best = F.array_max(F.transform("pool", lambda x: F.struct(wins(x).alias("wins"), (-sampling.coin(seed, F.lit("tie"), F.col(by), x["id"])).alias("tie"), x["id"].alias("id"), x["val"].alias("val"))))
     m = F.size("pool")
-    won = pool.select(by, best.alias("w"), (F.col("asked") + m * (m - 1) / 2).cast("long").alias("questions"))
-    return won.select(by, F.col("w.id").alias("winner_id"), F.col("w.val").alias("winner_val"), "questions")
+    won = pool.select(by, best.alias("w"), m.cast("long").alias("pool_size"), (F.col("asked") + m * (m - 1) / 2).cast("long").alias("questions"))
+    return won.select(by, F.col("w.id").alias("winner_id"), F.col("w.val").alias("winner_val"), "pool_size", "questions")
 
 
 def runs_of(df: DataFrame, runs: int) -> DataFrame:
     """run, id, val: the set so many times over. The run is part of the id, so a judge on pairs errs anew in every run."""
-    many = df.withColumn("run", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).cast("long"))
+    many = df.withColumn("run", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(runs - 1).cast("long"))))
     return many.select("run", F.struct(F.col("run").alias("k1"), F.col("id").cast("long").alias("k2")).alias("id"), "val")
 
 

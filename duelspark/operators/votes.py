@@ -54,10 +54,14 @@ def _count(said: Column) -> Column:
     return F.aggregate(said, F.lit(0), lambda n, yes: n + yes.cast("int"))
 
 
+def count_yes(xs: Column | str, ys: Column | str, judge: Judge) -> Column:
+    """How many anchors call the first of two records at most as far, from items of both to the same anchors."""
+    return _count(F.zip_with(xs, ys, judge.on_pairs().at_most))
+
+
 def nearer_by_anchors(xs: Column, ys: Column, judge: Judge, share: float = 0.5) -> Column:
     """The anchors' vote from items of two records to the same anchors: is the first one nearer?"""
-    yes = _count(F.zip_with(xs, ys, judge.on_pairs().at_most))
-    return (F.size(xs) == 0) | _passes(yes, F.size(xs), share, True)
+    return (F.size(xs) == 0) | _passes(count_yes(xs, ys, judge), F.size(xs), share, True)
 
 
 def joins_core(new: Column, own: Column, judge: Judge, share: float = 0.5, inclusive: bool = False) -> Column:

@@ -138,7 +138,7 @@ def test_planted_queries_use_the_whole_table(spark, monkeypatch):
     gaps = proximity.distances(df, 0, metrics.planted(4.0))
     want = gaps.where("val < 2000000").count() * gaps.where("val >= 3000000").count()
     real = workloads.F.avg
-    monkeypatch.setattr(workloads.votes, "anchored_yes", lambda *a: F.lit(1))
+    monkeypatch.setattr(workloads.votes, "count_yes", lambda *a: F.lit(1))
     monkeypatch.setattr(workloads.F, "avg", lambda c: pairs.append(1) or F.count("*") if len(pairs) == 0 else real(c))
     assert workloads.anchored_asymmetry(spark, sf).collect()[0]["nearer_first"] == want
 
@@ -146,3 +146,63 @@ def test_planted_queries_use_the_whole_table(spark, monkeypatch):
 def test_both_linkages_have_both_baselines(spark):
     got = {(r["link"], r["method"]) for r in workloads.linkage_methods(spark, "/root/testdata/sf0.001").collect()}
     assert got == {(link, method) for link in ("single", "complete") for method in ("ours", "sampler", "knockout")}
+
+
+def test_coin_kcenter_thins_and_sweeps(spark):
+    """Four far clusters of 60 at p = 0.15: records are thinned, the frontier is voted for, the rest is swept."""
+    rows = [(i, [1000.0 * (i % 4) + (i * 7 % 13)], i % 4) for i in range(240)]
+    df = spark.createDataFrame(rows, "id long, payload array<double>, truth int")
+    found, centers = kcenter.coin_noise(df.select("id", "payload"), 4, 40, metrics.euclid, Judge.coin(0.15), t=2)
+    assert len({c % 4 for c in centers}) == 4 and found.count() == 240
+    assert measures.pair_fscore(found, df).first()["fscore"] > 0.95
+
+
+def test_answers_persist_over_rounds(spark):
+    """A center kept from round to round is asked about in the same words, so more centers only refine the assignment."""
+    df = spark.createDataFrame([(i, i * i) for i in range(60)], "id long, payload long")
+    judge = Judge.coin(0.3)
+    few, many = (kcenter.assign_duels(df, [{"id": c, "payload": c * c} for c in cs], metrics.gap, judge).orderBy("id").collect() for cs in ([3, 40], [3, 40, 55]))
+    side = lambda u, c: ((min(u, c), max(u, c)), abs(u * u - c * c))
+    for a, b in zip(few, many, strict=True):
+        u = a["id"]
+        first = judge.on_pairs().answer(side(u, 3), side(u, 40))
+        assert a["wins"] == [int(first), int(not first)] and b["wins"][0] - int(first) in (0, 1) and b["d"][:2] == a["d"]
+        assert sum(b["wins"]) == 3
+
+
+def test_token_pairs_against_all_pairs(spark):
+    from duelspark.operators import blocking
+
+    rows = [(i, f"common {'' if i % 3 else 'also'} w{i % 7} v{i % 11}") for i in range(80)] + [(100, ""), (101, None), (102, "alone")]
+    df = spark.createDataFrame(rows, "id long, text string")
+    sets = {i: set(t.split()) for i, t in rows if t}
+    for least in (1, 2, 3):
+        want = {(a, b): len(sets[a] & sets[b]) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) >= least}
+        got = blocking.token_pairs(df, "text", least).collect()
+        assert len(got) == len(want) and {(r["a"], r["b"]): r["common"] for r in got} == want
+
+
+def test_yes_answers_along_a_chain(spark):
+    df = spark.createDataFrame([(i,) for i in range(150)], "id long")
+    yes = spark.createDataFrame([(i, i + 1) for i in range(149) if i != 70], "a long, b long")
+    label = {r["id"]: r["center_id"] for r in baselines.clusters_of_yes(df, yes).collect()}
+    assert all(label[i] == (0 if i <= 70 else 71) for i in range(150))
+    pairs = [(r["a"], r["b"]) for r in baselines.same_cluster_pairs(df, 40).collect()]
+    assert len(pairs) == len(set(pairs)) == 40 and all(a < b for a, b in pairs)
+    assert max(pairs.count(p) for p in pairs) == 1 and len({x for p in pairs for x in p}) > 45  # not a chain: ends hardly repeat
+
+
+def test_measured_hierarchy(spark):
+    rng = __import__("random").Random(5)
+    rows = [(i, rng.randrange(10**6)) for i in range(40)]
+    for link in ("single", "complete"):
+        exact = linkage.agglomerate([i for i, _ in rows], [v for _, v in rows], linkage.line, Judge.exact(), link, measured=True)
+        assert all(r[7] == r[9] for r in exact)
+        noisy = linkage.agglomerate([i for i, _ in rows], [v for _, v in rows], linkage.line, Judge.band(0.5), link, measured=True)
+        assert all(r[9] <= r[7] for r in noisy) and any(r[9] < r[7] for r in noisy)
+
+
+def test_central_records_by_questions(spark):
+    df = spark.createDataFrame([(i, 100 * (i // 20) + abs(i % 20 - 10) ** 2 // 4, str(i // 20)) for i in range(60)], "id long, payload long, block string")
+    merges = linkage.blocked(df, "block", linkage.line, Judge.exact()).where("block = 'medoids'").collect()
+    assert len(merges) == 2 and all(80 <= r["link_dist"] <= 120 for r in merges)

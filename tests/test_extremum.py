@@ -75,3 +75,31 @@ def test_ledger_counts_questions(spark):
     with book.timed("m", "p") as seen:
         seen["asked"] = 3
     assert book.frame(spark).first()["asked"] == 3
+
+
+def test_cells_equal_a_broadcast(spark, monkeypatch):
+    from duelspark.operators import scores
+
+    df = spark.createDataFrame([(i, i * 37 % 101 + 1) for i in range(90)], "id long, val long")
+    judge = Judge.coin(0.3)
+    want = {tuple(r) for r in scores.win_scores(df, df, judge).collect()}
+    robin = {tuple(r) for r in scores.round_robin(df, judge).collect()}
+    monkeypatch.setattr(scores, "BROADCAST_ROWS", 20)
+    assert {tuple(r) for r in scores.win_scores(df, df, judge).collect()} == want
+    assert {(i, w) for i, _, w in robin} == want
+    assert extremum.top_k(df, Judge.exact(), 3).agg({"val": "min"}).first()[0] == sorted((i * 37 % 101 + 1 for i in range(90)), reverse=True)[2]
+
+
+def test_leaves_are_a_permutation(spark, monkeypatch):
+    monkeypatch.setattr(extremum, "LEAVES", 10)
+    df = spark.createDataFrame([(i, i) for i in range(95)], "id long, val long")
+    pos = sorted(r["pos"] for r in extremum.leaves(df, 95, 3).collect())
+    assert pos == list(range(95))
+
+
+def test_many_searches_at_once(spark):
+    df = spark.createDataFrame([(i, 1000 + i * 13 % 500) for i in range(200)], "id long, val long")
+    runs = extremum.robust_band_by(extremum.runs_of(df, 5), "run", Judge.exact(pairs=True), 200).collect()
+    assert len(runs) == 5 and {r["winner_val"] for r in runs} == {max(1000 + i * 13 % 500 for i in range(200))}
+    low = extremum.robust_band_by(extremum.runs_of(df, 2), "run", Judge.band(0.1, pairs=True), 200, want="min").collect()
+    assert all(r["winner_val"] <= 1000 * 1.1**3 for r in low)
