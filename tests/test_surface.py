@@ -19,7 +19,7 @@ def same(a, b):
     return order == sorted(b.columns) and rows(a) == rows(b)
 
 
-@pytest.mark.parametrize("name", ["tick_parity", "coin_parity", "judge_band_grid", "crowd_majority_answers", "win_scores_coin", "exact_max_flat", "confusion_share", "worked_scores", "ops_asof", "ops_cube", "ops_range_join", "ops_window"])
+@pytest.mark.parametrize("name", ["tick_parity", "coin_parity", "judge_band_grid", "crowd_majority_answers", "win_scores_coin", "exact_max_flat", "confusion_share", "worked_scores", "ops_asof", "ops_cube", "ops_range_join", "ops_window", "ops_subqueries", "ops_frames", "ops_grouping_sets", "ops_custom_metric", "sql_linkage", "stream_dedup_late", "stream_join", "accuracy_grid", "accuracy_cube", "sampled_max", "token_block_pairs", "worked_core", "worked_farthest", "six_items_clusters", "linkage_exact_tree"])
 def test_queries_equal_their_sql(spark, name):
     import __spark_entry__ as entry
 
