@@ -62,9 +62,11 @@ def grams(lowered: list[str], buckets: int, over: list[int] | None = None) -> tu
     for row, mixed, has in zip(ids, (one, two, three), (alpha, has2, has2 | is_after[1:]), strict=True):
         mixed = (mixed ^ (mixed >> np.uint32(15))) * np.uint32(2246822519)
         row[:] = np.where(has, mixed >> shift, buckets)
-    for start, length, more in zip(offsets, lengths, over or [], strict=False):
+    ends = offsets + lengths
+    ids[:, np.concatenate((ends - 2, ends - 1))] = buckets  # what begins in the padding would reach into the next text
+    for end, more in zip(ends, over or [], strict=False):
         if more:
-            ids[:, start + length - 2 - more : start + length] = buckets
+            ids[:, end - 2 - more : end] = buckets
     return ids, offsets, np.add.reduceat(alpha, offsets, dtype=np.int64) > 0
 
 
