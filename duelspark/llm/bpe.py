@@ -7,7 +7,7 @@ no two entries meet; a look-up reads one offset and one entry however large the
 text and becomes arrays once for every thousands of words: as an array literal its boxed numbers would be read by every task.
 
 Words repeat, so distinct words are encoded once in a block of documents: a block ends where it has `distinct` words that are not
-remembered (or 2.5 million words in all), and a document is in one block. One narrow plan does it, without a shuffle: a Python
+remembered (or 1.5 million words in all), and a document is in one block. One narrow plan does it, without a shuffle: a Python
 step cuts texts and numbers the words of a block, the fold encodes the words, a second Python step puts ids in the place of
 numbers, and decodes. It relies on the order of rows in a partition, which projections keep: words first, then their documents.
 Words that are frequent in a sample of about `sampled` documents (at most `remembered` words, a fixed bound) are encoded before, and
@@ -320,7 +320,7 @@ def binaries(data: np.ndarray, ends: np.ndarray) -> pa.Array:
     return pa.Array.from_buffers(pa.binary(), len(ends), [None, pa.py_buffer(np.append(0, ends).astype(np.int32)), pa.py_buffer(np.ascontiguousarray(data))])
 
 
-def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 200_000, sampled: int = 8_000, distinct: int = 120_000, longest: int = 256, decoded: bool = False) -> DataFrame:
+def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembered: int = 150_000, sampled: int = 8_000, distinct: int = 120_000, longest: int = 256, decoded: bool = False) -> DataFrame:
     """doc_id and ids (little-endian unsigned 32-bit integers as bytes) of every text, and with `decoded` the bytes that these decode to."""
     sc, merger = documents.sparkSession.sparkContext, Merger.of(vocabulary)
     words, known, lengths = remember(documents, vocabulary, merger, pattern, remembered, sampled, longest)
@@ -350,7 +350,7 @@ def encode(documents: DataFrame, vocabulary: Vocabulary, pattern: str, remembere
                 ids.append(doc_id)
                 texts.append(pack(np.fromiter(map(numbers.__getitem__, found), "<u4", len(found))))
                 total += len(found)
-                if len(numbers.new) >= distinct or total >= 2_500_000:
+                if len(numbers.new) >= distinct or total >= 1_500_000:
                     yield from block()
                     numbers, ids, texts, total = Numbers(common), [], [], 0
                     give_back()
