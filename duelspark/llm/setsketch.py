@@ -184,7 +184,8 @@ def verified(pairs: DataFrame, sets: DataFrame, sketch: Sketch) -> DataFrame:
 def near_duplicates(documents: DataFrame, sketch: Sketch = Sketch(), rounds: int = 1) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable over links) and kept, for every row."""
     table = materialise(sketches(documents, sketch), "sketches")
-    groups = table.where("n > 0 AND doc_id IS NOT NULL").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.count("*").alias("size"))
+    sizes = table.where("n > 0 AND doc_id IS NOT NULL").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.count("*").alias("size"))
+    groups = materialise(sizes, "groups")  # as a table it brings no partitioning by the set alone, to which joins would send a hot set's rows
     hot = groups.where(F.col("size") > max(100, table.count() // HOT)).drop("size")  # fewer than HOT sets
     reps = groups.drop("size").join(table.withColumnRenamed("doc_id", "rep"), ["f1", "f2", "n", "rep"]).dropDuplicates(["rep"]).select("rep", "n", "registers")
     hashes = F.transform(F.sequence(F.lit(0), F.lit(sketch.bands - 1)), lambda i: F.xxhash64(i, F.col("registers").substr(i * (2 * sketch.rows) + 1, F.lit(2 * sketch.rows))))
