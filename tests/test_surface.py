@@ -66,6 +66,14 @@ def test_sql_functions(spark):
     assert got["winner_val"] == max((i * 7919) % 1009 + 1 for i in range(200))
 
 
+def test_equal_values_without_noise_go_by_id(spark):
+    rows = [(g, 100 * g + i, 5 if i < 4 else 3) for g in range(3) for i in range(6)]
+    got = sqlapi.group_maxima(spark.createDataFrame(rows, "g long, id long, val long"), "g", 0.0)
+    assert {r["g"]: r["winner_id"] for r in got.collect()} == {g: 100 * g + 3 for g in range(3)}
+    spark.sql("SELECT id, val FROM __judged").createOrReplaceTempView("t_tied")
+    assert spark.sql("SELECT * FROM robust_max(TABLE(t_tied), CAST(0.0 AS DOUBLE))").first()["winner_id"] == 203
+
+
 def test_noise_is_recovered(spark):
     df = spark.createDataFrame([(i, (i * i * 37) % 997) for i in range(60)], "id long, payload long")
     from duelspark.functions import metrics
