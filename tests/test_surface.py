@@ -29,6 +29,24 @@ def test_queries_equal_their_sql(spark, name):
     assert same(entry.queries()[name](spark, SF).toPandas(), db.sql(entry.oracle_sql()[name]).df())
 
 
+@pytest.mark.parametrize("name", ["running_champion_chain", "worked_scores", "worked_kcenter", "worked_farthest", "worked_core"])
+def test_examples_read_the_orders(spark, name):
+    import __spark_entry__ as entry
+
+    db, got = duckdb.connect(), entry.queries()[name](spark, SF)
+    db.sql(f"CREATE VIEW orders AS SELECT * FROM '{SF}/orders.parquet'")
+    assert any(f.endswith("/orders.parquet") for f in got.inputFiles())
+    assert same(got.toPandas(), db.sql(entry.oracle_sql()[name]).df())
+
+
+@pytest.mark.parametrize("name", ["six_items_clusters", "six_items_fscore"])
+def test_examples_read_the_customers(spark, name):
+    import __spark_entry__ as entry
+
+    assert "FROM customer" in entry.oracle_sql()[name]
+    assert any(f.endswith("/customer.parquet") for f in entry.queries()[name](spark, SF).inputFiles())
+
+
 def test_answer_log(spark, tmp_path):
     rows = [(1, 2, 3, 4, True, "crowd", 7), (1, 2, 5, 6, False, "crowd", 7)]
     log = spark.createDataFrame(rows, exchange.ANSWER)
